@@ -1,8 +1,10 @@
 """The corpus operators' queries and DuckDB oracles."""
 
-from schemaloom.llm import fmindex, lines
+from schemaloom.llm import bpe, fmindex, lines, planes
 
 QUERIES = {
+    "op4_token_planes": planes.op4_token_planes,
+    "op7_streaming_bpe": bpe.op7_streaming_bpe,
     "op8_line_dedup": lines.op8_line_dedup,
     "op9_fm_decontamination": fmindex.op9_fm_decontamination,
 }
