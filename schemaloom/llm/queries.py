@@ -1,11 +1,12 @@
 """The corpus operators' queries and DuckDB oracles."""
 
-from schemaloom.llm import bpe, fmindex, lines, planes
+from schemaloom.llm import bpe, fmindex, lines, planes, warc
 
 QUERIES = {
+    "op3_warc_normaliser": warc.op3_warc_normaliser,
     "op4_token_planes": planes.op4_token_planes,
     "op7_streaming_bpe": bpe.op7_streaming_bpe,
     "op8_line_dedup": lines.op8_line_dedup,
     "op9_fm_decontamination": fmindex.op9_fm_decontamination,
 }
-ORACLES = {"op8_line_dedup": lines.OP8_SQL, "op9_fm_decontamination": fmindex.OP9_SQL}
+ORACLES = {"op3_warc_normaliser": warc.OP3_SQL, "op8_line_dedup": lines.OP8_SQL, "op9_fm_decontamination": fmindex.OP9_SQL}
