@@ -1,10 +1,11 @@
 """The corpus operators' queries and DuckDB oracles."""
 
-from schemaloom.llm import bpe, fmindex, lines, planes, warc
+from schemaloom.llm import bpe, fmindex, lines, planes, simhash, warc
 
 QUERIES = {
     "op3_warc_normaliser": warc.op3_warc_normaliser,
     "op4_token_planes": planes.op4_token_planes,
+    "op6_simhash_tries": simhash.op6_simhash_tries,
     "op7_streaming_bpe": bpe.op7_streaming_bpe,
     "op8_line_dedup": lines.op8_line_dedup,
     "op9_fm_decontamination": fmindex.op9_fm_decontamination,
