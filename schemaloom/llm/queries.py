@@ -1,6 +1,6 @@
 """The corpus operators' queries and DuckDB oracles."""
 
-from schemaloom.llm import bpe, fmindex, lines, planes, simhash, warc
+from schemaloom.llm import bpe, fmindex, lines, planes, simhash, sketch, warc
 
 QUERIES = {
     "op3_warc_normaliser": warc.op3_warc_normaliser,
@@ -9,5 +9,6 @@ QUERIES = {
     "op7_streaming_bpe": bpe.op7_streaming_bpe,
     "op8_line_dedup": lines.op8_line_dedup,
     "op9_fm_decontamination": fmindex.op9_fm_decontamination,
+    "op10_scaled_sketch": sketch.op10_scaled_sketch,
 }
 ORACLES = {"op3_warc_normaliser": warc.OP3_SQL, "op8_line_dedup": lines.OP8_SQL, "op9_fm_decontamination": fmindex.OP9_SQL}
