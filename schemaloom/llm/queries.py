@@ -1,8 +1,9 @@
 """The corpus operators' queries and DuckDB oracles."""
 
-from schemaloom.llm import bpe, fmindex, lines, planes, simhash, sketch, warc
+from schemaloom.llm import bpe, fmindex, lines, planes, quality, simhash, sketch, warc
 
 QUERIES = {
+    "op2_neighbour_quality": quality.op2_neighbour_quality,
     "op3_warc_normaliser": warc.op3_warc_normaliser,
     "op4_token_planes": planes.op4_token_planes,
     "op6_simhash_tries": simhash.op6_simhash_tries,
