@@ -1,11 +1,12 @@
 """The corpus operators' queries and DuckDB oracles."""
 
-from schemaloom.llm import bpe, fmindex, lines, planes, quality, simhash, sketch, warc
+from schemaloom.llm import bpe, fmindex, lines, planes, quality, simhash, sketch, suffixes, warc
 
 QUERIES = {
     "op2_neighbour_quality": quality.op2_neighbour_quality,
     "op3_warc_normaliser": warc.op3_warc_normaliser,
     "op4_token_planes": planes.op4_token_planes,
+    "op5_maximal_repeats": suffixes.op5_maximal_repeats,
     "op6_simhash_tries": simhash.op6_simhash_tries,
     "op7_streaming_bpe": bpe.op7_streaming_bpe,
     "op8_line_dedup": lines.op8_line_dedup,
