@@ -1,8 +1,9 @@
 """The corpus operators' queries and DuckDB oracles."""
 
-from schemaloom.llm import bpe, fmindex, lines, planes, quality, simhash, sketch, suffixes, warc
+from schemaloom.llm import bpe, fmindex, lines, planes, quality, simhash, sketch, spans, suffixes, warc
 
 QUERIES = {
+    "op1_sentence_spans": spans.op1_sentence_spans,
     "op2_neighbour_quality": quality.op2_neighbour_quality,
     "op3_warc_normaliser": warc.op3_warc_normaliser,
     "op4_token_planes": planes.op4_token_planes,
@@ -13,4 +14,4 @@ QUERIES = {
     "op9_fm_decontamination": fmindex.op9_fm_decontamination,
     "op10_scaled_sketch": sketch.op10_scaled_sketch,
 }
-ORACLES = {"op3_warc_normaliser": warc.OP3_SQL, "op8_line_dedup": lines.OP8_SQL, "op9_fm_decontamination": fmindex.OP9_SQL}
+ORACLES = {"op1_sentence_spans": spans.OP1_SQL, "op3_warc_normaliser": warc.OP3_SQL, "op8_line_dedup": lines.OP8_SQL, "op9_fm_decontamination": fmindex.OP9_SQL}
