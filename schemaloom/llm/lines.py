@@ -207,7 +207,8 @@ def routed(docs: DataFrame, scratch: Scratch, arrays: DataFrame, shards: int, fi
     lines = scratch.table("lines", docs.select(id_col, text).mapInArrow(emit, "shard long, doc long, first long, second long"))
     salts = scratch.table("salts", lines.groupBy("shard").agg(F.ceil(F.count("*") / ROUTE_ROWS).alias("salts")))
     lines = lines.join(F.broadcast(salts), "shard").withColumn("salt", F.pmod(F.xxhash64("doc"), F.col("salts")))
-    spread = arrays.join(F.broadcast(salts), "shard").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)))
+    other = salts.select(F.col("shard").alias("_shard"), F.col("salts").alias("_salts"))  # names of its own: both sides of the cogroup come from this table
+    spread = arrays.join(F.broadcast(other), F.col("shard") == F.col("_shard")).withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("_salts") - 1))).drop("_shard", "_salts")
 
     def probe(left: pa.Table, right: pa.Table) -> pa.Table:
         if not right.num_rows or not left.num_rows:
