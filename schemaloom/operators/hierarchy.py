@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 from schemaloom.sources.shared import cut
 
 ROOT = "Thing"
+#: Edges up to which the driver walks a hierarchy itself.
+SMALL_EDGES = 20_000
 
 
 def extract_path(text: Column, max_types: int = 5, root: str = ROOT) -> Column:
@@ -60,10 +62,38 @@ def verify_edges(edges: DataFrame, verdicts: DataFrame) -> DataFrame:
     return edges.join(denied, ["child", "parent"], "left_anti")
 
 
-def reach(edges: DataFrame, most_rounds: int = 64) -> DataFrame:
+def small(edges: DataFrame, columns: list[str], bound: int = SMALL_EDGES) -> list | None:
+    """The rows, if there are few enough for the driver: a hierarchy has a row for each pair of types, not for each
+    table. Beyond the bound the callers join instead."""
+    rows = edges.select(*columns).distinct().limit(bound + 1).collect()
+    return rows if len(rows) <= bound else None
+
+
+def ways_up(steps: list) -> dict[str, dict[str, int]]:
+    """Every type's ancestors with the length of the shortest way."""
+    parents: dict[str, list[str]] = {}
+    for child, parent in steps:
+        parents.setdefault(child, []).append(parent)
+    out = {}
+    for start in parents:
+        found, frontier, k = {}, [start], 0
+        while frontier:
+            k += 1
+            frontier = list(dict.fromkeys(p for t in frontier for p in parents.get(t, ()) if p not in found))
+            found.update(dict.fromkeys(frontier, k))
+        out[start] = found
+    return out
+
+
+def reach(edges: DataFrame, most_rounds: int = 64, bound: int = SMALL_EDGES) -> DataFrame:
     """(descendant, ancestor, dist): every ancestor, with the length of the shortest way; a type on a cycle is its own
-    ancestor. Each round's new pairs are written, so plans do not grow; rounds are the hierarchy's depth."""
-    steps = edges.select("child", "parent").distinct()
+    ancestor. Up to `bound` edges are walked on the driver. Beyond, each round joins, and writes its new pairs, so plans
+    do not grow; rounds are the hierarchy's depth."""
+    schema = "descendant string, ancestor string, dist int"
+    few = small(edges, ["child", "parent"], bound)
+    if few is not None:
+        return edges.sparkSession.createDataFrame([(d, a, k) for d, up in ways_up(few).items() for a, k in up.items()], schema)
+    steps = cut(edges.select("child", "parent").distinct())
     frontier = cut(steps.select(F.col("child").alias("descendant"), F.col("parent").alias("ancestor"), F.lit(1).alias("dist")))
     known = frontier
     for k in range(2, most_rounds):
@@ -75,13 +105,23 @@ def reach(edges: DataFrame, most_rounds: int = 64) -> DataFrame:
     raise RuntimeError(f"the hierarchy is deeper than {most_rounds}")
 
 
-def break_cycles(edges: DataFrame) -> DataFrame:
+def break_cycles(edges: DataFrame, bound: int = SMALL_EDGES) -> DataFrame:
     """Drops, again and again, the lightest edge among those that lie on cycles; of equal ones the last by name."""
+    few = small(edges, ["child", "parent", "weight"], bound)
+    if few is not None:
+        left = [tuple(r) for r in few]
+        while True:
+            up = ways_up([e[:2] for e in left])
+            on = [e for e in left if e[0] in up.get(e[1], {})]
+            if not on:
+                return edges.sparkSession.createDataFrame(left, edges.select("child", "parent", "weight").schema)
+            light = min(e[2] for e in on)
+            left.remove(max(e for e in on if e[2] == light))
     now = edges
     while True:
-        ways = reach(now).select("descendant", "ancestor")
+        ways = reach(now, bound=bound).select("descendant", "ancestor")
         on = now.join(ways, (F.col("parent") == F.col("descendant")) & (F.col("child") == F.col("ancestor")), "left_semi")
-        worst = on.orderBy("weight", F.desc("child"), F.desc("parent")).limit(1)
+        worst = cut(on.orderBy("weight", F.desc("child"), F.desc("parent")).limit(1))
         if worst.isEmpty():
             return now
         now = cut(now.join(F.broadcast(worst.select("child", "parent")), ["child", "parent"], "left_anti"))
@@ -110,8 +150,17 @@ def type_tables(paths: DataFrame, edges: DataFrame, root: str = ROOT) -> DataFra
     return leaves.union(up).distinct()
 
 
-def levels(edges: DataFrame, root: str = ROOT) -> DataFrame:
+def levels(edges: DataFrame, root: str = ROOT, bound: int = SMALL_EDGES) -> DataFrame:
     """(type_name, level): the longest way down from the root, which must be free of cycles."""
+    few = small(edges, ["child", "parent"], bound)
+    if few is not None:
+        known, now = {}, {root}
+        for k in range(1, 65):
+            now = {r.child for r in few if r.parent in now}
+            if not now:
+                return edges.sparkSession.createDataFrame(list(known.items()), "type_name string, level int")
+            known.update(dict.fromkeys(now, k))
+        raise RuntimeError("a cycle")
     now = cut(edges.where(F.col("parent") == root).select(F.col("child").alias("type_name"), F.lit(1).alias("level")).distinct())
     known = now
     for k in range(2, 64):
