@@ -68,7 +68,8 @@ def signature_pairs(sets: DataFrame, bands: int = 16, rows: int = 2, least: floa
     """(a, b, sim): Jaccard pairs found through banded minimum hashes, then compared exactly. sets: (item, terms). Items
     with equal sets count as one. Finds pairs of similarity s with probability 1 - (1 - s^rows)^bands."""
     kinds = sets.withColumn("terms", F.array_sort(F.array_distinct("terms"))).groupBy("terms").agg(F.min("item").alias("item"))
-    mins = F.array(*(F.array_min(F.transform("terms", lambda t, k=k: F.xxhash64(t, F.lit(k)))) for k in range(bands * rows)))
+    seeded = lambda k: lambda t: F.xxhash64(t, F.lit(k))
+    mins = F.array(*(F.array_min(F.transform("terms", seeded(k))) for k in range(bands * rows)))
     signed = kinds.withColumn("m", mins)
     keys = F.array(*(F.xxhash64(F.lit(b), *(F.get("m", F.lit(b * rows + r)) for r in range(rows))) for b in range(bands)))
     spread = signed.select("item", F.explode(keys).alias("key"))
