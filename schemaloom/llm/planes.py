@@ -24,11 +24,13 @@ from schemaloom.llm.shared import Scratch, byte_texts, documents, filesystem, sl
 MAGIC = b"IDPLANE1"
 BLOCK_IDS = 1 << 16
 SLICE_BYTES = 4 << 20
-CACHE_ENTRIES = 400_000
+CACHE_ENTRIES = 1_000_000
 #: Bytes of a tokenizer file that is broadcast.
 MODEL_BYTES = 64 << 20
 #: White space on both sides of a space, or before one that ends the text: the tokenizer's own pass takes such texts.
 TANGLED = re.compile(r"\s (?:\s|\Z)")
+ODD_SPACE = re.compile("[\t\x0b-\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
+PARTS = re.compile("(?= )")
 
 
 def to_planes(values: np.ndarray, bits: bool = False) -> list[bytes]:
@@ -161,43 +163,55 @@ class ByteLevelEncoder:
         for name, k in self.tokenizer.get_vocab().items():
             self.lengths[k] = len(name)
         self.cache: dict[str, bytes] = {}
+        self.pieces: dict[str, bytes] = {}
 
     def library(self, texts: list[str]) -> list[list[int]]:
         return [x.ids for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
     def learn(self, parts: set[str]) -> None:
+        """Takes parts into the cache. Their pieces are cached too, since many parts are a known word with a mark."""
         if len(self.cache) + len(parts) > CACHE_ENTRIES:
             self.cache.clear()
-        joined, alone = [], []
-        for x in parts:
-            (joined if x[:1] == " " and len(x) > 1 and not x[1].isspace() else alone).append(x)
+        # a letter and the mark after it are two pieces
+        heads = [x[:-1] if x[-1:] in ".," and x[-2:-1].isalpha() else x for x in parts]
+        tails = [x[len(y) :] for x, y in zip(parts, heads, strict=True)]
+        wanted = {*heads, *tails}
+        wanted = list(wanted - self.pieces.keys() - {""})
+        if len(self.pieces) + len(wanted) > CACHE_ENTRIES:
+            self.pieces.clear()
+            wanted = list({*heads, *tails} - {""})
+        joined = [x for x in wanted if len(x) > 1 and x[0] == " " and x[1].isalpha()]
+        alone = [x for x in wanted if not (len(x) > 1 and x[0] == " " and x[1].isalpha())]
         for at in range(0, len(joined), 2048):
             some = joined[at : at + 2048]
             ids = np.array(self.library(["".join(some)])[0], "<u4")
-            ends = np.cumsum([len(x.encode()) for x in some])
-            cuts = np.searchsorted(np.cumsum(self.lengths[ids]), ends) + 1
-            for x, a, b in zip(some, [0, *cuts[:-1]], cuts, strict=True):
-                self.cache[x] = ids[a:b].tobytes()
+            cuts = 4 * (np.searchsorted(np.cumsum(self.lengths[ids]), np.cumsum([len(x.encode()) for x in some])) + 1)
+            data, first = ids.tobytes(), 0
+            for x, end in zip(some, cuts.tolist(), strict=True):
+                self.pieces[x] = data[first:end]
+                first = end
         for x, ids in zip(alone, self.library(alone), strict=True):
-            self.cache[x] = np.array(ids, "<u4").tobytes()
+            self.pieces[x] = np.array(ids, "<u4").tobytes()
+        get = self.pieces.__getitem__
+        self.cache.update(zip(parts, [get(x) + get(y) if y else get(x) for x, y in zip(heads, tails, strict=True)], strict=True))
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
         split: list[list[str] | None] = []
         for x in texts:
-            if any(s in x for s in self.special) or (("  " in x or "\n " in x or " \n" in x or not x.isascii() or "\t" in x) and TANGLED.search(x)) or x[-1:] == " ":
+            if any(s in x for s in self.special) or x[-1:] == " " or (("  " in x or "\n " in x or " \n" in x or ODD_SPACE.search(x)) and TANGLED.search(x)):
                 split.append(None)
             else:
-                first, *rest = x.split(" ")
-                split.append([first, *[" " + y for y in rest]] if first else [" " + y for y in rest])
-        get = self.cache.get
-        missing = {y for x in split if x for y in x if y not in self.cache}
-        if missing:
+                first, *rest = x.replace(" ", "\0 ").split("\0") if "\0" not in x else PARTS.split(x)
+                split.append([first, *rest] if first else rest)
+        every: set[str] = set()
+        for parts in split:
+            every.update(parts or ())
+        if missing := every - self.cache.keys():
             self.learn(missing)
-            again = {y for x in split if x for y in x if y not in self.cache}  # after the cache was emptied
-            if again:
+            if again := every - self.cache.keys():  # the cache was emptied
                 self.learn(again)
-        whole = iter(self.library([x for x, y in zip(texts, split, strict=True) if y is None]))
-        return [np.array(next(whole), "<u4") if x is None else np.frombuffer(b"".join([get(y) for y in x]), "<u4") for x in split]
+        whole, get = iter(self.library([x for x, y in zip(texts, split, strict=True) if y is None])), self.cache.__getitem__
+        return [np.array(next(whole), "<u4") if x is None else np.frombuffer(b"".join(map(get, x)), "<u4") for x in split]
 
 
 _ENCODERS: dict[str, ByteLevelEncoder] = {}
@@ -260,7 +274,7 @@ def read_planes(manifest: DataFrame, folder: str) -> DataFrame:
                     columns = zip(*rows[at : at + 10_000], strict=True)
                     yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return files.repartition("file").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return files.repartition(max(1, manifest.count()), "file").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def op4_token_planes(spark, sf_dir: str) -> DataFrame:
