@@ -60,13 +60,20 @@ class Model:
         seen = (rates > 0).sum(axis=0) if len(rates) else np.zeros(TERMS)
         self.weights = np.where(seen >= 3, np.log((1 + len(rates)) / (1 + seen)) + 0.2, 0.0)
         self.weights[TRIGRAMS:] *= REPETITION_WEIGHT**0.5
-        x = self.weighted(rates)
-        basis = np.random.default_rng(seed).standard_normal((TERMS, axes + 8))
-        for _ in range(6):  # subspace iteration to the leading right singular vectors
-            basis = np.linalg.qr(x.T @ (x @ basis))[0]
-        _, _, turn = np.linalg.svd(x @ basis, full_matrices=False) if len(x) else (0, 0, np.eye(axes + 8))
-        self.axes = basis @ turn[:axes].T
-        self.vectors = unit(x @ self.axes)
+        # float32, and the terms that count alone: the sample's matrix is the driver's largest object
+        some = np.flatnonzero(self.weights)
+        x = np.log1p(rates[:, some].astype(np.float32, copy=False))
+        x *= self.weights[some].astype(np.float32)
+        x /= np.maximum(1e-12, np.linalg.norm(x, axis=1, keepdims=True))
+        basis = np.random.default_rng(seed).standard_normal((TERMS, axes + 8))[some].astype(np.float32)
+        self.axes = np.zeros((TERMS, axes))
+        if len(some) and len(x):
+            for _ in range(6):  # subspace iteration to the leading right singular vectors
+                basis = np.linalg.qr(x.T @ (x @ basis))[0]
+            turn = np.linalg.svd(x @ basis, full_matrices=False)[2][:axes]
+            found = basis @ turn.T
+            self.axes[some, : found.shape[1]] = found
+        self.vectors = unit(np.asarray(x @ self.axes[some].astype(np.float32), float))
 
     def weighted(self, rates: np.ndarray) -> np.ndarray:
         return unit(np.log1p(rates) * self.weights)
@@ -109,10 +116,12 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str =
 
     rows = texts.select(F.col("_id").cast("long").alias("_id"), "_label", "_text").mapInArrow(terms, "id long, label double, at array<short>, rate array<float>").toArrow()
     order = np.argsort(rows.column("id").to_numpy(), kind="stable")[: 2 * sample]  # texts of repeated ids count each, within a bound
+    at, rate = (rows.column(c).combine_chunks() for c in ("at", "rate"))
+    ends = np.cumsum([0, *(len(x) for x in at)]) if len(at) else np.zeros(1, np.int64)
+    values, places = rate.flatten().to_numpy(), at.flatten().to_numpy()
     rates = np.zeros((len(order), TERMS), np.float32)
-    at, rate = rows.column("at").to_pylist(), rows.column("rate").to_pylist()
     for row, k in enumerate(order.tolist()):
-        rates[row, at[k]] = rate[k]
+        rates[row, places[ends[k] : ends[k + 1]]] = values[ends[k] : ends[k + 1]]
     return Model(rates, rows.column("label").to_numpy()[order])
 
 
