@@ -23,7 +23,8 @@ from schemaloom.llm.shared import Scratch, byte_texts, documents, slices
 LENGTH = 100
 GRAM = 32
 MOST_STARTS = 128
-SLICE_BYTES = 2 << 20
+SLICE_BYTES = 1 << 18  # its arrays stay in a core's cache
+CUT_BYTES = 2 << 20
 BATCH_BYTES = 1 << 19
 NO_ID = -(1 << 63)  # stands for a null doc_id, which comes first
 #: Distinct contexts of a group beyond which its strings are grouped each by itself.
@@ -39,19 +40,19 @@ def mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def words(data: np.ndarray) -> np.ndarray:
-    """The 8 bytes from each place, as an integer that sorts as they do."""
+def words(data: np.ndarray, kind: str = ">u8") -> np.ndarray:
+    """The 8 bytes from each place as an integer; big-endian ones sort as the bytes do."""
     padded = np.concatenate((data, np.zeros(16, np.uint8)))
-    out = np.empty(len(data), ">u8")
+    out = np.empty(len(data), kind)
     for k in range(8):
         n = len(range(k, len(data), 8))
-        out[k::8] = padded[k : k + 8 * n].view(">u8")
-    return out.astype(np.uint64)
+        out[k::8] = padded[k : k + 8 * n].view(kind)
+    return out.astype(np.uint64, copy=False)
 
 
 def gram_hashes(data: np.ndarray, gram: int = GRAM) -> np.ndarray:
     """A hash of the gram bytes (a multiple of 8) from each place."""
-    w = words(data)
+    w = words(data, "<u8")
     n = max(0, len(data) - gram + 1)
     out = np.zeros(n, np.uint64)
     for k in range(0, gram, 8):
@@ -81,6 +82,7 @@ class Contexts:
         data = np.frombuffer(self.bytes, np.uint8)
         empty = np.zeros(0, np.int64)
         self.group, self.text, self.first, self.starts, self.recurs = empty.astype(np.uint64), empty, empty, empty, empty.astype(bool)
+        self.alone = self.recurs  # whether a context is one string of a heavy group
         if len(data) < length:
             return
         h = gram_hashes(data)
@@ -94,7 +96,9 @@ class Contexts:
         inside = np.cumsum(room[:-1]) > 0
         at = np.flatnonzero(inside)
         edge = np.concatenate(([True], (np.diff(at) > 1) | (np.diff(least[at].view(np.int64)) != 0)))
-        edge |= np.isin(at, self.offsets[:-1])
+        begins = np.zeros(len(data) + 1, bool)
+        begins[self.offsets[:-1]] = True
+        edge |= begins[at]
         # long runs are cut every MOST_STARTS
         head = np.maximum.accumulate(np.where(edge, np.arange(len(at)), 0))
         edge |= (np.arange(len(at)) - head) % MOST_STARTS == 0
@@ -105,8 +109,10 @@ class Contexts:
         self.place = at[begin]
         self.starts = np.diff(np.concatenate((begin, [len(at)])))
         self.group = least[self.place]
+        self.alone = np.zeros(len(begin), bool)
         if heavy is not None and len(heavy):
-            for k in np.flatnonzero(alone[begin]).tolist():
+            self.alone = alone[begin]
+            for k in np.flatnonzero(self.alone).tolist():
                 p = int(self.place[k])
                 self.group[k] = xxhash.xxh3_64_intdigest(self.bytes[p : p + length], 1)
         self.text = np.searchsorted(self.offsets, self.place, "right") - 1
@@ -119,13 +125,13 @@ class Contexts:
         """Contexts near a gram that stands again within MOST_STARTS: of any string that recurs so soon, one gram in
         `width` neighbours lies at a multiple of the step."""
         step = width - 5
-        probes = np.arange(0, len(h), step)
-        again = np.zeros(len(probes), bool)
-        padded = np.concatenate((h, np.zeros(MOST_STARTS, np.uint64)))
+        probed = h[::step].copy()
+        again = np.zeros(len(probed), bool)
+        padded = np.concatenate((h, np.zeros(MOST_STARTS + step, np.uint64)))
         for d in range(1, MOST_STARTS):
-            again |= padded[probes] == padded[probes + d]
+            again |= probed == padded[d::step][: len(probed)]
         mark = np.zeros(n + 1, np.int64)
-        hits = probes[again]
+        hits = np.flatnonzero(again) * step
         np.add.at(mark, np.minimum(np.maximum(hits - width + 1, 0), n), 1)
         np.add.at(mark, np.minimum(hits + 1, n), -1)
         near = np.cumsum(mark[:-1]) > 0
@@ -295,11 +301,15 @@ def duplicate_ranges(docs: DataFrame, scratch: Scratch, id_col: str, text: str,
     source = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc"), F.col(text).alias("text"))
     spark = docs.sparkSession
 
-    def each(batches: Iterator[pa.RecordBatch], heavy=None) -> Iterator[tuple[np.ndarray, Contexts]]:
+    def each(batches: Iterator[pa.RecordBatch], heavy=None, only=None) -> Iterator[tuple[np.ndarray, Contexts]]:
         for batch in slices(batches, "text", SLICE_BYTES):
+            doc = batch.column("doc").to_numpy()
+            if only:
+                batch = batch.filter(pa.array(only.value.has(place_keys(doc, np.zeros(len(doc))))))
+                doc = batch.column("doc").to_numpy()
             found = Contexts(byte_texts(batch.column("text")), length, heavy)
             if len(found.group):
-                yield batch.column("doc").to_numpy(), found
+                yield doc, found
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for _, found in each(batches):
@@ -310,35 +320,45 @@ def duplicate_ranges(docs: DataFrame, scratch: Scratch, id_col: str, text: str,
     counted = source.mapInArrow(count, "g long, n int").groupBy("g").agg(F.sum("n").alias("n"))
     groups = filter_of(scratch.table("groups", counted.where("n > 1").select("g")), filter_bits)
 
-    def seen(heavy: np.ndarray) -> DataFrame:
+    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keys = place_keys(batch.column(0).to_numpy(), batch.column(1).to_numpy())
+            yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64))], ["k"])
+
+    def seen(heavy: np.ndarray, only=None) -> DataFrame:
+        """Contexts of groups that stand more than once; with heavy, the single strings of those groups instead."""
+
         def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for docs_, found in each(batches, heavy):
-                keep = np.flatnonzero(groups.value.has(found.group) | np.isin(found.starts, [1]) if len(heavy) else groups.value.has(found.group))
+            for docs_, found in each(batches, heavy, only):
+                keep = np.flatnonzero(found.alone if len(heavy) else groups.value.has(found.group))
                 digests = np.array([xxhash.xxh3_64_intdigest(found.content(k)) for k in keep.tolist()], np.uint64)
                 yield pa.RecordBatch.from_arrays([pa.array(found.group[keep].view(np.int64)), pa.array(digests.view(np.int64)), pa.array(docs_[found.text[keep]]), pa.array(found.first[keep].astype(np.int32)), pa.array(found.starts[keep].astype(np.int16)), pa.array(found.recurs[keep])], ["g", "c", "doc", "first", "starts", "recurs"])
 
         return source.mapInArrow(emit, "g long, c long, doc long, first int, starts short, recurs boolean")
 
+    def grouped(rows: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
+        """Distinct contexts with their first place, and the groups that have several or may repeat within one."""
+        contexts = scratch.table(f"contexts-{name}", rows.groupBy("g", "c").agg(F.min(F.struct("doc", "first")).alias("place"), F.count("*").alias("n"), F.max("recurs").alias("recurs")))
+        several = contexts.groupBy("g").agg(F.count("*").alias("kinds"), F.max("recurs").alias("recurs")).where("kinds > 1 or recurs")
+        return contexts, scratch.table(f"groups-{name}", several)
+
     heavy = np.zeros(0, np.uint64)
-    while True:
-        rows = seen(heavy)
-        contexts = scratch.table("contexts", rows.groupBy("g", "c").agg(F.min(F.struct("doc", "first")).alias("place"), F.count("*").alias("n"), F.max("recurs").alias("recurs")))
-        per_group = contexts.groupBy("g").agg(F.count("*").alias("kinds"), F.max("recurs").alias("recurs")).where("kinds > 1 or recurs")
-        per_group = scratch.table("per_group", per_group)
-        more = [r.g for r in per_group.where(F.col("kinds") > heavy_contexts).select("g").toLocalIterator()]
-        if not more or len(heavy):
-            break
+    rows = scratch.table("rows", seen(heavy))
+    contexts, per_group = grouped(rows, "all")
+    large = per_group.where(F.col("kinds") > heavy_contexts).select("g")
+    if more := [r.g for r in large.toLocalIterator()]:
+        # only texts that hold such contexts are read again
         heavy = np.array(more, np.int64).view(np.uint64)
+        holders = rows.join(large, "g", "left_semi").select("doc", F.lit(0).alias("first")).distinct()
+        only = filter_of(scratch.table("holders", holders.mapInArrow(keyed, "k long")), filter_bits)
+        single = scratch.table("single", seen(heavy, only))
+        rows = rows.join(large, "g", "left_anti").select(single.columns).union(single)
+        contexts, per_group = grouped(rows, "split")
     # contexts that stood before go whole
     again = contexts.where("n > 1").select("g", "c", "place")
     whole = rows.select("g", "c", "doc", "first", "starts").join(again, ["g", "c"]).where(F.struct("doc", "first") != F.col("place"))
     whole = whole.select("doc", "first", (F.col("starts") + F.lit(length - 1)).cast("int").alias("bytes"))
     # first ones of a group with several go through suffix arrays
-    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            keys = place_keys(batch.column(0).to_numpy(), batch.column(1).to_numpy())
-            yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64))], ["k"])
-
     firsts = contexts.join(per_group.select("g"), "g", "left_semi").select(F.col("place.doc").alias("doc"), F.col("place.first").alias("first"))
     wanted = filter_of(scratch.table("wanted", firsts.mapInArrow(keyed, "k long")), filter_bits)
 
@@ -402,7 +422,7 @@ def cut_repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", len
     joined = source.join(per_doc, F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)) == F.col("_doc"), "left").drop("_doc")
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches, text, SLICE_BYTES):
+        for batch in slices(batches, text, CUT_BYTES):
             rows = []
             for data, ranges_ in zip(byte_texts(batch.column(text)), batch.column("_ranges").to_pylist(), strict=True):
                 spans: list[list[int]] = []
