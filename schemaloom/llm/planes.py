@@ -182,8 +182,8 @@ class ByteLevelEncoder:
             wanted = list({*heads, *tails} - {""})
         joined = [x for x in wanted if len(x) > 1 and x[0] == " " and x[1].isalpha()]
         alone = [x for x in wanted if not (len(x) > 1 and x[0] == " " and x[1].isalpha())]
-        for at in range(0, len(joined), 2048):
-            some = joined[at : at + 2048]
+        for at in range(0, len(joined), 256):
+            some = joined[at : at + 256]
             ids = np.array(self.library(["".join(some)])[0], "<u4")
             cuts = 4 * (np.searchsorted(np.cumsum(self.lengths[ids]), np.cumsum([len(x.encode()) for x in some])) + 1)
             data, first = ids.tobytes(), 0
