@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from schemaloom.llm import bpe, fmindex, lines, quality, simhash
+from schemaloom.llm import bpe, fmindex, lines, quality, resemblance
 from schemaloom.llm.shared import Scratch
 
 
@@ -27,10 +27,9 @@ def cut_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the smallest id of each group of near copies."""
-    named = simhash.near_groups(docs)
-    first = named.where(F.coalesce("doc_id", F.lit(simhash.NO_ID)) == F.col("component_id")).select(F.col("doc_id").alias("_kept")).distinct()
-    return docs.join(first, F.col("doc_id").eqNullSafe(F.col("_kept")), "left_semi").select(docs.columns)
+    """The document with the smallest id of each group of near copies: five-word shingles, similarity 0.8 or more."""
+    later = resemblance.near_copies(docs).where("node <> component").select(F.col("node").alias("_later"))
+    return docs.join(later, F.coalesce("doc_id", F.lit(resemblance.NO_ID)) == F.col("_later"), "left_anti").select(docs.columns)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -49,7 +48,7 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("quality classifier", keep_quality),
     ("line dedup", cut_lines),
-    ("simhash near-dedup", one_of_each_group),
+    ("near-dedup", one_of_each_group),
     ("benchmark decontamination", drop_contaminated),
     ("bpe encoding and decoding", encode),
 ]
