@@ -1,4 +1,4 @@
-"""Near copies by exact Jaccard similarity of word shingles: shared rare shingles, bounded comparisons, components."""
+"""Exact Jaccard similarity of word shingles within groups of candidates, in comparisons of bounded size."""
 
 from __future__ import annotations
 
@@ -10,16 +10,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from schemaloom.llm.graph import components
-from schemaloom.llm.shared import Scratch, byte_texts, slices
+from schemaloom.llm.shared import byte_texts, slices
 
 SLICE_BYTES = 4 << 20
-NO_ID = -(1 << 63)  # stands for a null doc_id, which is the smallest
 #: Similarity of near copies, as a fraction of whole numbers.
 LEAST = (4, 5)
-#: Shingles that more than a quarter of HOT texts share are asked last, and over HOT texts are linked in a chain. The most
-#: frequent ones are told, in some rounds; others cost speed, never pairs.
-HOT, MOST_HOT, ROUNDS = 64, 1 << 18, 4
 #: Texts and shingles of one part of a group; two parts meet in one task.
 PART_ROWS, PART_SHINGLES = 1024, 1 << 21
 ODD = 0x9E3779B97F4A7C15
@@ -38,50 +33,11 @@ def shingles(text: bytes, words_each: int = 5) -> np.ndarray:
     return np.unique(out)
 
 
-def prefix(found: np.ndarray, hot: np.ndarray, least: tuple[int, int] = LEAST) -> np.ndarray:
-    """The first shingles of a text in an order that all texts share, hot ones last: as many as make sure that two
-    texts of the least similarity have one in common."""
-    over, under = least
-    n = len(found) - (over * len(found) + under - 1) // under + 1 if len(found) else 0
-    if len(hot):
-        late = np.isin(found, hot)
-        found = np.concatenate((found[~late], found[late]))
-    return found[:n]
-
-
-def meetings(batches: Iterator[pa.RecordBatch], hot: int, least: tuple[int, int] = LEAST) -> Iterator[pa.RecordBatch]:
-    """Pairs of texts that share a shingle, with its place in each, of rows sorted by shingle; places are -1 for the
-    links of a shingle that over `hot` texts share, which are one chain."""
-    over, under = least
-    names = ("h", "id", "size", "place")
-    held = [np.zeros(0, np.int64)] * 4
-
-    def pairs(h, ids, size, place) -> pa.RecordBatch:
-        first = np.flatnonzero(np.concatenate(([True], h[1:] != h[:-1])))
-        count = np.repeat(np.diff(np.append(first, len(h))), np.diff(np.append(first, len(h))))
-        often, few = np.flatnonzero(count > hot), np.flatnonzero((count > 1) & (count <= hot))
-        often = often[:-1][h[often[1:]] == h[often[:-1]]]
-        out = [(ids[often], ids[often + 1], np.full(len(often), -1), np.full(len(often), -1), np.zeros(len(often), np.int64), np.zeros(len(often), np.int64))]
-        for step in range(1, hot):
-            few = few[few + step < len(h)]
-            few = few[h[few] == h[few + step]]
-            if not len(few):
-                break
-            x, y = few, few + step
-            near = (under * size[x] >= over * size[y]) & (under * size[y] >= over * size[x])
-            out.append(tuple(z[near] for z in (ids[x], ids[y], place[x], place[y], size[x], size[y])))
-        a, b, *rest = map(np.concatenate, zip(*out, strict=True))
-        kept = a != b
-        return pa.RecordBatch.from_arrays([pa.array(z[kept].astype(np.int64)) for z in (a, b, *rest)], ["a", "b", "pa", "pb", "na", "nb"])
-
-    for batch in batches:
-        held = [np.concatenate((old, batch.column(c).to_numpy().astype(np.int64))) for old, c in zip(held, names, strict=True)]
-        n = int(np.searchsorted(held[0], held[0][-1])) if len(held[0]) else 0
-        if n:
-            yield pairs(*(x[:n] for x in held))
-            held = [x[n:] for x in held]
-    if len(held[0]):
-        yield pairs(*held)
+def mixed(x: np.ndarray) -> np.ndarray:
+    """64-bit values with every bit spread over all others."""
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
 
 
 def near_pairs(sets: list[np.ndarray], least: tuple[int, int] = LEAST) -> tuple[list[int], list[int]]:
@@ -109,35 +65,13 @@ def near_pairs(sets: list[np.ndarray], least: tuple[int, int] = LEAST) -> tuple[
     return left, right
 
 
-def near_copies(docs: DataFrame, id_col: str = "doc_id", text: str = "text", words_each: int = 5, least: tuple[int, int] = LEAST) -> DataFrame:
-    """(node, component) of each id that is linked to another; a component's name is its smallest id.
-
-    Two texts are linked if the sets of their word shingles have a Jaccard similarity of at least `least`; texts without
-    words are copies of each other, and a null id is the smallest. Ids are taken to be distinct, or to repeat a text. No pair is lost: texts that near each other share a
-    shingle among their first ones (see prefix), two texts that share some make a group unless those and all that
-    come after the last of them are too few, and in a group every text is compared with every other that is not joined
-    to it already. Of equal sets one is compared. Larger groups are cut
-    into parts, each two of which meet in one task.
-    """
-    scratch = Scratch(docs.sparkSession, "resemblance")
-    source = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("id"), F.col(text).alias("text"))
-
-    def prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches, "text", SLICE_BYTES):
-            sets = [shingles(x, words_each) for x in byte_texts(batch.column("text"))]
-            both = np.frombuffer(b"".join(xxhash.xxh3_128_digest(x.tobytes()) for x in sets), ">i8").reshape(-1, 2).astype(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(both[:, 0]), pa.array(both[:, 1]), pa.array([len(x) for x in sets], pa.int64())], ["id", "h1", "h2", "size"])
-
-    def asked(hot: np.ndarray):
-        def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in slices(batches, "text", SLICE_BYTES):
-                whole = [shingles(x, words_each) for x in byte_texts(batch.column("text"))]
-                found = [prefix(x, hot, least) for x in whole]
-                each = [len(x) for x in found]
-                ids, place = np.repeat(batch.column("id").to_numpy(), each), np.concatenate([np.arange(n) for n in each])
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(found).view(np.int64)), pa.array(ids), pa.array(np.repeat([len(x) for x in whole], each).astype(np.int32)), pa.array(place.astype(np.int32))], ["h", "id", "size", "place"])
-
-        return source.mapInArrow(emit, "h long, id long, size int, place int")
+def linked(source: DataFrame, grouped: DataFrame, words_each: int = 5, least: tuple[int, int] = LEAST, part_rows: int = PART_ROWS) -> DataFrame:
+    """Links (a, b) that join all texts of a group with at least the similarity `least`, and no others; source: (id,
+    text), grouped: (id, group, size) with a shingle count. In a group every text is compared with every other that is
+    not joined to it already; a group larger than a task is cut into parts, each two of which meet in one."""
+    sizes = grouped.groupBy("group").agg(F.count("*").alias("n"), F.sum("size").alias("size")).where("n > 1")
+    parts = sizes.select("group", F.greatest(F.ceil(F.col("n") / part_rows), F.ceil(F.col("size") / PART_SHINGLES)).alias("parts"))
+    held = source.join(grouped.select("id", "group").join(parts, "group"), "id").select("group", "parts", "id", "text")
 
     def sets_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "text", SLICE_BYTES):
@@ -150,27 +84,6 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text: str = "text", wor
         left, right = near_pairs(sets, least)
         return pa.table({"a": pa.array(ids[left], pa.int64()), "b": pa.array(ids[right], pa.int64())})
 
-    seen = scratch.table("prints", source.mapInArrow(prints, "id long, h1 long, h2 long, size long"))
-    firsts = scratch.table("firsts", seen.groupBy("h1", "h2").agg(F.min("id").alias("first"), F.first("size").alias("size")))
-    copies = seen.join(firsts.drop("size"), ["h1", "h2"]).where("id <> first").select(F.col("id").alias("a"), F.col("first").alias("b"))
-    hot = np.zeros(0, np.uint64)
-    for _ in range(ROUNDS):  # asking hot ones last brings others forward
-        often = asked(hot).groupBy("h").agg(F.count("*").alias("n")).where(F.col("n") > HOT // 4).orderBy(F.desc("n"), "h").limit(MOST_HOT)
-        told = np.union1d(hot, np.array([r.h for r in often.collect()], np.int64).view(np.uint64))
-        if len(told) == len(hot):
-            break
-        hot = told
-    at_most = HOT
-    both = asked(hot).repartition("h").sortWithinPartitions("h", "id").mapInArrow(lambda rows: meetings(rows, at_most, least), "a long, b long, pa long, pb long, na long, nb long")
-    met = both.groupBy("a", "b", "na", "nb").agg(F.min("pa").alias("least"), F.count("*").alias("n"), F.max("pa").alias("pa"), F.max("pb").alias("pb"))
-    bound = F.col("n") + F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) - 1
-    shared = met.where((F.col("least") < 0) | (sum(least) * bound >= least[0] * (F.col("na") + F.col("nb")))).select("a", "b")
-    groups = components(shared, scratch).select(F.col("node").alias("id"), F.col("component").alias("group"))
-    members = scratch.table("members", groups.join(firsts.where("size > 0").groupBy(F.col("first").alias("id")).agg(F.sum("size").alias("size")), "id"))
-    sizes = members.groupBy("group").agg(F.count("*").alias("n"), F.sum("size").alias("size")).where("n > 1")
-    parts = sizes.select("group", F.greatest(F.ceil(F.col("n") / PART_ROWS), F.ceil(F.col("size") / PART_SHINGLES)).alias("parts"))
-    held = source.join(members.select("id", "group").join(parts, "group"), "id").select("group", "parts", "id", "text")
     rows = held.mapInArrow(sets_of, "group long, parts long, id long, found binary").withColumn("own", F.pmod(F.xxhash64("id"), "parts"))
     rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).where("parts = 1 OR own <> other")
-    met = rows.groupBy("group", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q")).applyInArrow(compared, "a long, b long")
-    return components(met.union(copies), scratch)
+    return rows.groupBy("group", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q")).applyInArrow(compared, "a long, b long")

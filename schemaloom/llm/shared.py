@@ -42,6 +42,12 @@ class Scratch:
         df.write.mode("overwrite").parquet(self.path(name))
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
+    def inner(self, name: str) -> Scratch:
+        """A folder in this one, which is deleted under its name."""
+        found = object.__new__(Scratch)
+        found.spark, found.root = self.spark, self.path(name)
+        return found
+
     def drop(self, *names: str) -> None:
         """Deletes tables that no later plan reads."""
         jvm = self.spark.sparkContext._jvm
@@ -94,5 +100,13 @@ def slices(batches: Iterator[pa.RecordBatch], column: str, most_bytes: int) -> I
             yield batch.slice(a, b - a)
 
 
+def unused(name: str, *tables: DataFrame) -> str:
+    """The name, or one like it that no column of the tables has, whatever the case of its letters."""
+    taken = {c.lower() for t in tables for c in t.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")

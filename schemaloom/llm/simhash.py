@@ -11,7 +11,9 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from schemaloom.llm import resemblance
 from schemaloom.llm.graph import components
+from schemaloom.llm.resemblance import mixed
 from schemaloom.llm.shared import Scratch, byte_texts, documents, slices
 
 SEED = 42
@@ -19,7 +21,14 @@ SLICE_BYTES = 4 << 20
 NO_ID = -(1 << 63)  # stands for a null doc_id, which is the smallest
 BUCKET_ROWS = 256
 BATCH_ROWS = 1 << 17
+#: Rows of a bucket that meet in one task; a larger one is cut into parts that meet in pairs.
+PART_ROWS = 1 << 18
 FRONTIER = 1 << 20
+SIGN = np.uint64(1 << 63)
+#: near_copies: keys of a text, minimum hashes in each, and the trie's error budget for a similarity of 0.8. Two texts at
+#: 0.8 share no key with a chance of 4e-5; their fingerprints differ in 10 bits of 64 on average, in over 20 with one
+#: of 2e-4.
+KEYS, KEY_HASHES, WIDE = 14, 3, 20
 
 
 def fingerprint(text: bytes, words_each: int = 4) -> int:
@@ -152,13 +161,62 @@ def trie_self_join(values: np.ndarray, roots: np.ndarray, skip: int, errors: int
     return labels.of
 
 
-def link(nodes: DataFrame, errors: int, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
-    """Links (a, b) that span, within each bucket, what is near in it; nodes: (fp, node) with distinct fp.
+def meet(rows: DataFrame, errors: int, skip: int, part_rows: int = PART_ROWS) -> DataFrame:
+    """Links (a, b) that span, within each bucket, what is within the errors there, directly or through others; rows:
+    (choice, bucket, moved, node), where a bucket's values are equal in their first `skip` bits.
+
+    A bucket is a trie of its own and meets in one task as 28 bytes a row. One of more than part_rows rows is cut into
+    parts by hash, each two of which meet in a task, so that no bucket has to fit in one; it comes back as one link for
+    each row and task at most.
+    """
+    sizes = rows.groupBy("choice", "bucket").agg(F.ceil(F.count("*") / part_rows).alias("parts")).where("parts > 1")
+    cut = rows.join(sizes, ["choice", "bucket"], "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
+    cut = cut.withColumn("own", F.pmod(F.xxhash64("moved"), "parts")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    cut = cut.where("parts = 1 OR own <> other").select("choice", "bucket", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), "moved", "node")
+
+    def links(key: list[np.ndarray], moved: np.ndarray, node: np.ndarray) -> pa.RecordBatch:
+        edge = np.zeros(len(moved) - 1, bool)
+        for x in key:
+            edge |= x[1:] != x[:-1]
+        roots = np.concatenate(([0], np.flatnonzero(edge) + 1, [len(moved)]))
+        few = np.diff(roots)
+        if (few == 1).any():  # a bucket of one has no links
+            kept = np.repeat(few > 1, few)
+            moved, node, roots = moved[kept], node[kept], np.concatenate(([0], np.cumsum(few[few > 1])))
+        of = trie_self_join(moved, roots, skip, errors)
+        least = np.full(len(of), np.iinfo(np.int64).max)
+        np.minimum.at(least, of, node)
+        other = least[of]
+        keep = other != node
+        return pa.RecordBatch.from_arrays([pa.array(node[keep]), pa.array(other[keep])], ["a", "b"])
+
+    def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[list[np.ndarray]] = []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            held.append([batch.column(c).to_numpy() for c in ("choice", "bucket", "p", "q", "moved", "node")])
+            if sum(len(x[0]) for x in held) >= BATCH_ROWS:
+                columns = [np.concatenate(x) for x in zip(*held, strict=True)]
+                ends = np.flatnonzero(np.any([x[1:] != x[:-1] for x in columns[:4]], axis=0))
+                n = int(ends[-1]) + 1 if len(ends) else 0
+                if n:
+                    yield links([x[:n] for x in columns[:4]], columns[4][:n].view(np.uint64) ^ SIGN, columns[5][:n])
+                held = [[x[n:] for x in columns]]
+        if held and sum(len(x[0]) for x in held):
+            columns = [np.concatenate(x) for x in zip(*held, strict=True)]
+            yield links(columns[:4], columns[4].view(np.uint64) ^ SIGN, columns[5])
+
+    keys = ["choice", "bucket", "p", "q"]
+    return cut.repartition(*keys).sortWithinPartitions(*keys, "moved").mapInArrow(joined, "a long, b long")
+
+
+def link(nodes: DataFrame, errors: int, bucket_rows: int = BUCKET_ROWS, part_rows: int = PART_ROWS) -> DataFrame:
+    """Links (a, b) that span what is near; nodes: (fp, node) with distinct fp.
 
     64 bits are cut into errors + free bands, and each choice of `free` bands gives every value a bucket by their bits:
     two near values share one at least. More values take more free bands, so that a bucket of unlike values stays
-    small; like ones are at most the values within the errors of each other. Rows of a bucket meet in one task as 16
-    bytes each, and come back as one link for each row at most.
+    small; like ones are at most the values within the errors of each other, and meet() splits them.
     """
     total, free = nodes.count(), 1
     while free < 8 and total >> (64 * free // (errors + free)) > bucket_rows:
@@ -172,46 +230,10 @@ def link(nodes: DataFrame, errors: int, bucket_rows: int = BUCKET_ROWS) -> DataF
             for k, lead in enumerate(choices):
                 moved, width = rotated(values, cut, lead)
                 key = (moved >> np.uint64(64 - width)) if width else moved * 0
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(values), k, np.int32)), pa.array(key.view(np.int64)), pa.array((moved ^ np.uint64(1 << 63)).view(np.int64)), ids], ["choice", "bucket", "moved", "node"])
-
-    def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def links(choice, moved, node) -> pa.RecordBatch:
-            width = 0
-            key = np.zeros(len(moved), np.uint64)
-            for k, lead in enumerate(choices):
-                mine = choice == k
-                if mine.any():
-                    width = sum(cut[x + 1] - cut[x] for x in lead)
-                    key[mine] = moved[mine] >> np.uint64(64 - width)
-            roots = np.flatnonzero(np.concatenate(([True], (np.diff(choice) != 0) | (np.diff(key) != 0))))
-            shortest = min(sum(cut[x + 1] - cut[x] for x in lead) for lead in choices)
-            of = trie_self_join(moved, np.append(roots, len(moved)), shortest, errors)
-            least = np.full(len(of), np.iinfo(np.int64).max)
-            np.minimum.at(least, of, node)
-            other = least[of]
-            keep = other != node
-            return pa.RecordBatch.from_arrays([pa.array(node[keep]), pa.array(other[keep])], ["a", "b"])
-
-        held: list[tuple] = []
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            held.append((batch.column("choice").to_numpy(), batch.column("bucket").to_numpy(), batch.column("moved").to_numpy().view(np.uint64) ^ np.uint64(1 << 63), batch.column("node").to_numpy()))
-            if sum(len(x[0]) for x in held) >= BATCH_ROWS:
-                choice, bucket, moved, node = map(np.concatenate, zip(*held, strict=True))
-                ends = np.flatnonzero((np.diff(choice) != 0) | (np.diff(bucket) != 0))
-                if not len(ends):
-                    held = [(choice, bucket, moved, node)]
-                    continue
-                n = ends[-1] + 1
-                yield links(choice[:n], moved[:n], node[:n])
-                held = [(choice[n:], bucket[n:], moved[n:], node[n:])]
-        if held and sum(len(x[0]) for x in held):
-            choice, bucket, moved, node = map(np.concatenate, zip(*held, strict=True))
-            yield links(choice, moved, node)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(values), k, np.int32)), pa.array(key.view(np.int64)), pa.array((moved ^ SIGN).view(np.int64)), ids], ["choice", "bucket", "moved", "node"])
 
-    rows = nodes.mapInArrow(spread, "choice int, bucket long, moved long, node long")
-    return rows.repartition("choice", "bucket").sortWithinPartitions("choice", "bucket", "moved").mapInArrow(joined, "a long, b long")
+    shortest = min(sum(cut[x + 1] - cut[x] for x in lead) for lead in choices)
+    return meet(nodes.mapInArrow(spread, "choice int, bucket long, moved long, node long"), errors, shortest, part_rows)
 
 
 def near_groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text", words_each: int = 4, errors: int = 4) -> DataFrame:
@@ -237,6 +259,66 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text", wor
     return prints.join(named, "fp").select(id_col, F.col("fp").alias("fingerprint"), "component_id")
 
 
+def majority(hashes: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The 64 majority bits of each run of hashes."""
+    ones = np.add.reduceat(np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little"), starts, axis=0, dtype=np.int32)
+    return np.packbits(2 * ones > sizes[:, None], axis=1, bitorder="little").view(np.uint64).reshape(-1)
+
+
+def minimum_keys(hashes: np.ndarray, starts: np.ndarray, seed: int = SEED) -> np.ndarray:
+    """KEYS keys of each run of hashes, a row each: KEY_HASHES minima under different permutations, hashed together."""
+    rng = np.random.default_rng(seed)
+    out = np.zeros((len(starts), KEYS), np.uint64)
+    for k in range(KEYS):
+        for _ in range(KEY_HASHES):
+            turn, odd = rng.integers(0, 1 << 63, 2, dtype=np.uint64)
+            out[:, k] = mixed(out[:, k] ^ np.minimum.reduceat((hashes ^ turn) * (odd * np.uint64(2) + np.uint64(1)), starts))
+    return out
+
+
+def near_copies(docs: DataFrame, id_col: str = "doc_id", text: str = "text", words_each: int = 5, least: tuple[int, int] = (4, 5), errors: int = WIDE, part_rows: int = PART_ROWS, group_rows: int = resemblance.PART_ROWS) -> DataFrame:
+    """(node, component) of each id whose text is linked to another's; a component's name is its smallest id.
+
+    Two texts are linked if the sets of their word shingles have a Jaccard similarity of at least `least`; a text of
+    fewer words is one shingle, texts without words are copies of each other, a null id is the smallest, and rows that
+    repeat an id count as one if their texts are copies. Equal sets are one node. Fingerprints over the distinct
+    shingles meet in tries with a budget wide enough for that similarity, but only with those that share one of the
+    text's minimum-hash keys: at so many errors no bands would keep unlike values apart. What the tries join directly
+    or through others is then compared exactly, so that no link is wrong; KEYS, KEY_HASHES and WIDE above bound what
+    may be missed. Groups larger than a task are cut into parts that meet in pairs.
+    """
+    scratch = Scratch(docs.sparkSession, "copies")
+    source = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("id"), F.col(text).alias("text"))
+
+    def prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches, "text", SLICE_BYTES):
+            sets = [resemblance.shingles(x, words_each) for x in byte_texts(batch.column("text"))]
+            both = np.frombuffer(b"".join(xxhash.xxh3_128_digest(x.tobytes()) for x in sets), ">i8").reshape(-1, 2).astype(np.int64)
+            sizes = np.array([len(x) for x in sets], np.int64)
+            some = np.flatnonzero(sizes)
+            fp, keys = np.zeros(len(sets), np.uint64), np.zeros((len(sets), KEYS), np.uint64)
+            if len(some):
+                starts = np.concatenate(([0], np.cumsum(sizes[some])[:-1]))
+                flat = mixed(np.concatenate([sets[k] for k in some.tolist()]))
+                fp[some], keys[some] = majority(flat, starts, sizes[some]), minimum_keys(flat, starts)
+            columns = [batch.column("id"), pa.array(both[:, 0]), pa.array(both[:, 1]), pa.array(sizes), pa.array((fp ^ SIGN).view(np.int64))]
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, KEYS * len(sets) + 1, KEYS, dtype=np.int32)), pa.array(keys.view(np.int64).reshape(-1)))
+            yield pa.RecordBatch.from_arrays([*columns, lists], ["id", "h1", "h2", "size", "moved", "keys"])
+
+    seen = scratch.table("prints", source.mapInArrow(prints, "id long, h1 long, h2 long, size long, moved long, keys array<long>"))
+    alike = seen.groupBy("h1", "h2").agg(F.min("id").alias("node"), *(F.first(c).alias(c) for c in ("size", "moved", "keys")))
+    firsts = scratch.table("firsts", alike)
+    copies = seen.join(firsts.select("h1", "h2", "node"), ["h1", "h2"]).where("id <> node").select(F.col("id").alias("a"), F.col("node").alias("b"))
+    spread = firsts.where("size > 0").select(F.posexplode("keys").alias("choice", "bucket"), "moved", "node")
+    groups = components(meet(spread, errors, 0, part_rows), scratch.inner("tries"))
+    nodes = firsts.where("size > 0").groupBy(F.col("node").alias("id")).agg(F.sum("size").alias("size"))
+    grouped = scratch.table("members", groups.select(F.col("node").alias("id"), F.col("component").alias("group")).join(nodes, "id"))
+    links = resemblance.linked(source, grouped, words_each, least, group_rows)
+    found = components(links.union(copies), scratch.inner("linked"))
+    scratch.drop("prints", "firsts", "members", "tries")
+    return found
+
+
 def op6_simhash_tries(spark, sf_dir: str) -> DataFrame:
     found = near_groups(documents(spark, sf_dir))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fingerprint"), 16, "0")).alias("fingerprint"), "component_id")

@@ -207,7 +207,7 @@ def test_line_probes_agree_by_either_way(spark):
 
 def shingles(text):
     words = "".join(c.lower() if "A" <= c <= "Z" else c for c in text).encode().split()
-    return {tuple(words[k : k + 5]) for k in range(max(1, len(words) - 4))}
+    return {tuple(words[k : k + 5]) for k in range(max(1, len(words) - 4))} if words else set()
 
 
 def test_op10_rows(spark, texts):
@@ -271,8 +271,11 @@ def test_pipeline_against_brute_force(spark, texts, tmp_path):
     gone = lambda k, line: len(holders[key(line)]) >= 3 and max(holders[key(line)]) != k if len(key(line)) >= 20 else False
     left = {k: "\n".join(line for line in x.split("\n") if not gone(k, line)) for k, x in left.items()}
     ids = sorted(left)
-    of = components(np.array([slow_fingerprint(left[k]) for k in ids], np.uint64), 4)
-    left = {k: left[k] for k, c in zip(ids, of, strict=True) if ids[c] == k}
+    labels, sets = simhash.Labels(len(ids)), [shingles(left[k]) for k in ids]
+    near = [(a, b) for b in range(len(ids)) for a in range(b) if 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b])]
+    for a, b in near:
+        labels.join(np.array([a]), np.array([b]))
+    left = {k: left[k] for k, c in zip(ids, labels.of, strict=True) if ids[c] == k}
     split = lambda x: x.encode().translate(__import__("schemaloom.llm.fmindex", fromlist=["x"]).TABLE).split()
     windows = set()
     for r in spark.read.parquet(f"{SMALL}/benchmark.parquet").collect():

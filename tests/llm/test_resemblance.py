@@ -1,10 +1,11 @@
 """The pipeline's near-duplicate stage against all pairs' exact similarity."""
 
 import random
+from functools import partial
 
 import corpus_pipeline
 import pytest
-from schemaloom.llm import resemblance
+from schemaloom.llm import simhash
 
 
 def near(a, b):
@@ -28,9 +29,8 @@ def edited_texts():
 
 @pytest.mark.parametrize("small", [False, True])
 def test_near_dedup_keeps_one_of_all_near_copies(spark, monkeypatch, small):
-    if small:  # hot shingles, and groups cut into parts
-        monkeypatch.setattr(resemblance, "HOT", 2)
-        monkeypatch.setattr(resemblance, "PART_ROWS", 3)
+    if small:  # buckets and groups cut into parts
+        monkeypatch.setattr(simhash, "near_copies", partial(simhash.near_copies, part_rows=3, group_rows=3))
     texts = edited_texts()
     of = list(range(len(texts)))
     for i, a in enumerate(texts):
