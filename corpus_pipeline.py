@@ -9,8 +9,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from schemaloom.llm import bpe, fmindex, lines, quality, resemblance
-from schemaloom.llm.shared import Scratch
+from schemaloom.llm import bpe, fmindex, lines, quality, simhash
+from schemaloom.llm.shared import Scratch, unused
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -28,8 +28,9 @@ def cut_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the smallest id of each group of near copies: five-word shingles, similarity 0.8 or more."""
-    later = resemblance.near_copies(docs).where("node <> component").select(F.col("node").alias("_later"))
-    return docs.join(later, F.coalesce("doc_id", F.lit(resemblance.NO_ID)) == F.col("_later"), "left_anti").select(docs.columns)
+    node = unused("node", docs)
+    later = simhash.near_copies(docs).where("node <> component").select(F.col("node").alias(node))
+    return docs.join(later, F.coalesce("doc_id", F.lit(simhash.NO_ID)) == F.col(node), "left_anti").select(docs.columns)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -48,12 +49,12 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("quality classifier", keep_quality),
     ("line dedup", cut_lines),
-    ("near-dedup", one_of_each_group),
+    ("simhash near-dedup", one_of_each_group),
     ("benchmark decontamination", drop_contaminated),
     ("bpe encoding and decoding", encode),
 ]
 
-#: The neighbours' vote is beyond SQL: tests/llm/test_pipeline.py holds the rows against a brute-force version.
+#: The neighbours' vote is beyond SQL: tests/llm/test_corpus_exact.py holds the rows against a brute-force version.
 ORACLE_SQL = None
 
 
