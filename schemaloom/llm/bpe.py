@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from schemaloom.llm.shared import byte_texts, documents, slices
 
 SLICE_BYTES = 4 << 20
-CACHE_ENTRIES = 500_000
+CACHE_ENTRIES = 250_000
 #: Bytes of a tokenizer file that is broadcast.
 MODEL_BYTES = 64 << 20
 TOKEN = ""  # the key of a trie node under which its token stands

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from schemaloom.llm.shared import byte_texts, slices
 
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 1 << 20
 #: Similarity of near copies, as a fraction of whole numbers.
 LEAST = (4, 5)
 #: Texts and shingles of one part of a group; two parts meet in one task.

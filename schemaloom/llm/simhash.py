@@ -18,6 +18,8 @@ from schemaloom.llm.shared import Scratch, byte_texts, documents, slices
 
 SEED = 42
 SLICE_BYTES = 4 << 20
+#: For sets of shingles, whose bits are unpacked.
+SET_SLICE_BYTES = 1 << 20
 NO_ID = -(1 << 63)  # stands for a null doc_id, which is the smallest
 BUCKET_ROWS = 256
 BATCH_ROWS = 1 << 17
@@ -291,7 +293,7 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text: str = "text", wor
     source = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("id"), F.col(text).alias("text"))
 
     def prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches, "text", SLICE_BYTES):
+        for batch in slices(batches, "text", SET_SLICE_BYTES):
             sets = [resemblance.shingles(x, words_each) for x in byte_texts(batch.column("text"))]
             both = np.frombuffer(b"".join(xxhash.xxh3_128_digest(x.tobytes()) for x in sets), ">i8").reshape(-1, 2).astype(np.int64)
             sizes = np.array([len(x) for x in sets], np.int64)
