@@ -11,15 +11,17 @@ import re
 import struct
 import zlib
 from collections.abc import Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from schemaloom.llm.shared import Scratch, byte_texts, documents, filesystem, slices, write_whole
+from schemaloom.llm.shared import Scratch, documents, filesystem, slices, write_whole
 
 MAGIC = b"IDPLANE1"
 BLOCK_IDS = 1 << 16
@@ -27,10 +29,10 @@ SLICE_BYTES = 4 << 20
 CACHE_ENTRIES = 1_000_000
 #: Bytes of a tokenizer file that is broadcast.
 MODEL_BYTES = 64 << 20
+#: Parts that go through the library in one text.
+JOINED_PARTS = 64
 #: White space on both sides of a space, or before one that ends the text: the tokenizer's own pass takes such texts.
-TANGLED = re.compile(r"\s (?:\s|\Z)")
-ODD_SPACE = re.compile("[\t\x0b-\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
-PARTS = re.compile("(?= )")
+ANY_SPACE = r"[\t-\r\x1c-\x20\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]"
 
 
 def to_planes(values: np.ndarray, bits: bool = False) -> list[bytes]:
@@ -149,69 +151,79 @@ class ByteLevelEncoder:
     """Ids as the tokenizers library gives them, through a cache of bounded size.
 
     The byte-level pattern never joins a letter, digit or mark with the space after it, so a text falls apart before
-    its single spaces, and each part's ids can be kept. Parts that are not in the cache go through the library, many in
-    one call; texts with a special token or tangled white space go through it whole.
+    its single spaces, and each part's ids can be kept. Texts are cut and their parts numbered as Arrow columns; the
+    distinct parts of a slice alone are looked up, and those that are not in the cache go through the library, many in
+    one call. Texts with a special token, a zero or tangled white space go through it whole.
     """
 
     def __init__(self, spec: str):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_str(spec)
-        self.special = [x.content for x in self.tokenizer.get_added_tokens_decoder().values()]
+        special = [re.escape(x.content) for x in self.tokenizer.get_added_tokens_decoder().values()]
+        self.whole = "|".join([*special, r"\x00", f"{ANY_SPACE} (?:{ANY_SPACE}|$)", r"^ $"])
         # as many bytes as letters: each letter of a byte-level token stands for one byte
         self.lengths = np.zeros(self.tokenizer.get_vocab_size(), np.int64)
         for name, k in self.tokenizer.get_vocab().items():
             self.lengths[k] = len(name)
-        self.cache: dict[str, bytes] = {}
-        self.pieces: dict[str, bytes] = {}
+        self.cache: dict[str, bytes] = {"": b""}
 
-    def library(self, texts: list[str]) -> list[list[int]]:
-        return [x.ids for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+    def library(self, texts: list[str]) -> list[np.ndarray]:
+        return [np.array(x.ids, "<u4") for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def learn(self, parts: set[str]) -> None:
-        """Takes parts into the cache. Their pieces are cached too, since many parts are a known word with a mark."""
+    def learn(self, parts: list[str]) -> None:
+        """Takes parts into the cache. Parts that begin with a space and a letter can follow one another in one text."""
         if len(self.cache) + len(parts) > CACHE_ENTRIES:
-            self.cache.clear()
-        # a letter and the mark after it are two pieces
-        heads = [x[:-1] if x[-1:] in ".," and x[-2:-1].isalpha() else x for x in parts]
-        tails = [x[len(y) :] for x, y in zip(parts, heads, strict=True)]
-        wanted = {*heads, *tails}
-        wanted = list(wanted - self.pieces.keys() - {""})
-        if len(self.pieces) + len(wanted) > CACHE_ENTRIES:
-            self.pieces.clear()
-            wanted = list({*heads, *tails} - {""})
-        joined = [x for x in wanted if len(x) > 1 and x[0] == " " and x[1].isalpha()]
-        alone = [x for x in wanted if not (len(x) > 1 and x[0] == " " and x[1].isalpha())]
-        for at in range(0, len(joined), 256):
-            some = joined[at : at + 256]
-            ids = np.array(self.library(["".join(some)])[0], "<u4")
-            cuts = 4 * (np.searchsorted(np.cumsum(self.lengths[ids]), np.cumsum([len(x.encode()) for x in some])) + 1)
-            data, first = ids.tobytes(), 0
-            for x, end in zip(some, cuts.tolist(), strict=True):
-                self.pieces[x] = data[first:end]
-                first = end
-        for x, ids in zip(alone, self.library(alone), strict=True):
-            self.pieces[x] = np.array(ids, "<u4").tobytes()
-        get = self.pieces.__getitem__
-        self.cache.update(zip(parts, [get(x) + get(y) if y else get(x) for x, y in zip(heads, tails, strict=True)], strict=True))
-
-    def encode(self, texts: list[str]) -> list[np.ndarray]:
-        split: list[list[str] | None] = []
-        for x in texts:
-            if any(s in x for s in self.special) or x[-1:] == " " or (("  " in x or "\n " in x or " \n" in x or ODD_SPACE.search(x)) and TANGLED.search(x)):
-                split.append(None)
-            else:
-                first, *rest = x.replace(" ", "\0 ").split("\0") if "\0" not in x else PARTS.split(x)
-                split.append([first, *rest] if first else rest)
-        every: set[str] = set()
-        for parts in split:
-            every.update(parts or ())
-        if missing := every - self.cache.keys():
+            self.cache = {"": b""}
+        joined: list[str] = []
+        alone: list[str] = []
+        for x in parts:
+            (joined if x[0] == " " and x[1:2].isalpha() else alone).append(x)
+        for at in range(0, len(joined), JOINED_PARTS):
+            some = joined[at : at + JOINED_PARTS]
+            text = "".join(some)
+            ids = self.library([text])[0]
+            sizes = list(map(len, some)) if text.isascii() else [len(x.encode()) for x in some]
+            cuts = (4 * (np.searchsorted(np.cumsum(self.lengths[ids]), np.cumsum(sizes)) + 1)).tolist()
+            data = ids.tobytes()
+            self.cache.update(zip(some, [data[a:b] for a, b in zip([0, *cuts[:-1]], cuts, strict=True)], strict=True))
+        self.cache.update(zip(alone, [x.tobytes() for x in self.library(alone)], strict=True))
+
+    def parted(self, texts: pa.Array) -> list[np.ndarray]:
+        """Ids of texts that may be cut before their spaces."""
+        cut = pc.split_pattern(pc.replace_substring(texts, " ", "\0 "), "\0")
+        parts = cut.flatten().dictionary_encode()
+        names, which = parts.dictionary.to_pylist(), parts.indices.to_numpy()
+        found = list(map(self.cache.get, names))
+        if missing := [x for x, y in zip(names, found, strict=True) if y is None]:
             self.learn(missing)
-            if again := every - self.cache.keys():  # the cache was emptied
-                self.learn(again)
-        whole, get = iter(self.library([x for x, y in zip(texts, split, strict=True) if y is None])), self.cache.__getitem__
-        return [np.array(next(whole), "<u4") if x is None else np.frombuffer(b"".join(map(get, x)), "<u4") for x in split]
+            get = self.cache.get
+            found = [get(x) if y is None else y for x, y in zip(names, found, strict=True)]
+        each = np.fromiter(map(len, found), np.int64, len(found)) // 4
+        flat = np.frombuffer(b"".join(found), "<u4")
+        sizes, first = each[which], (np.cumsum(each) - each)[which]
+        ends = np.cumsum(sizes)
+        ids = flat[np.arange(ends[-1] if len(ends) else 0) + np.repeat(first - ends + sizes, sizes)]
+        rows = np.concatenate(([0], ends))[np.asarray(cut.offsets) - cut.offsets[0].as_py()]
+        return np.split(ids, rows[1:-1])
+
+    def encode(self, texts: list[str] | pa.Array) -> list[np.ndarray]:
+        texts = texts if isinstance(texts, pa.Array) else pa.array(texts, pa.string())
+        if not len(texts):
+            return []
+        # blanks that end a text would be parted from what they belong to
+        whole = pc.or_(pc.match_substring_regex(texts, self.whole), pc.ends_with(texts, " "))
+        some = np.flatnonzero(whole.to_numpy(zero_copy_only=False))
+        if not len(some):
+            return self.parted(texts)
+        at = np.flatnonzero(~whole.to_numpy(zero_copy_only=False))
+        out: list[np.ndarray] = [np.zeros(0, "<u4")] * len(texts)
+        for k, ids in zip(some.tolist(), self.library(texts.take(pa.array(some)).to_pylist()), strict=True):
+            out[k] = ids
+        if len(at):
+            for k, ids in zip(at.tolist(), self.parted(texts.take(pa.array(at))), strict=True):
+                out[k] = ids
+        return out
 
 
 _ENCODERS: dict[str, ByteLevelEncoder] = {}
@@ -241,7 +253,7 @@ def write_planes(docs: DataFrame, folder: str, spec: str, id_col: str = "doc_id"
         def content() -> Iterator[bytes]:
             yield MAGIC
             for batch in slices(batches, "text", SLICE_BYTES):
-                texts = [x.decode("utf-8", "replace") for x in byte_texts(batch.column("text"))]
+                texts = batch.column("text").cast(pa.string()).fill_null("")
                 ids = batch.column("doc_id").fill_null(-(1 << 63)).to_pylist()
                 for doc_id, found in zip(ids, encoder.encode(texts), strict=True):
                     writer.put(doc_id, np.append(found, np.uint32(end_id)))
@@ -269,19 +281,20 @@ def read_planes(manifest: DataFrame, folder: str) -> DataFrame:
         for batch in batches:
             for row in batch.to_pylist():
                 with fs.open_input_file(f"{root}/{row['file']}") as source:
-                    rows = [(d, row["before"] + s, len(x), zlib.crc32(x.tobytes())) for d, s, x in PlaneFile(source).documents()]
-                for at in range(0, len(rows), 10_000):
-                    columns = zip(*rows[at : at + 10_000], strict=True)
-                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["doc_id", "start", "n_tokens", "ids_crc32"])
+                    rows = ((d, row["before"] + s, len(x), zlib.crc32(x.tobytes())) for d, s, x in PlaneFile(source).documents())
+                    while some := list(islice(rows, 10_000)):
+                        yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*some, strict=True)], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return files.repartition(max(1, manifest.count()), "file").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return files.repartitionByRange(max(1, manifest.count()), "file").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def op4_token_planes(spark, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
     with open(public_tokenizers.path("byte_bpe_50k.json"), encoding="utf-8") as f:
-        spec = f.read(MODEL_BYTES)
+        spec = f.read(MODEL_BYTES + 1)
+    if len(spec) > MODEL_BYTES:
+        raise ValueError("the tokenizer file is too large to broadcast")
     scratch = Scratch(spark, "planes")
     manifest = scratch.table("manifest", write_planes(documents(spark, sf_dir), scratch.path("files"), spec))
     return read_planes(manifest, scratch.path("files"))
