@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from schemaloom.llm.shared import byte_texts, documents, slices
 
 SLICE_BYTES = 4 << 20
-CACHE_ENTRIES = 250_000
+CACHE_ENTRIES = 600_000
 #: Bytes of a tokenizer file that is broadcast.
 MODEL_BYTES = 64 << 20
 TOKEN = ""  # the key of a trie node under which its token stands
@@ -211,8 +211,8 @@ class Decoder:
 class WordEncoder:
     """Encoder of a tokenizer file that drops white space and encodes words apart.
 
-    What a text gives depends on its parts between white space alone; those parts' results are kept in a cache of
-    bounded size, which forgets all when it is full.
+    What a text gives depends on its parts between white space alone; their ids, and those of the words that they fall
+    into, are kept in one cache of bounded size, which forgets all when it is full.
     """
 
     def __init__(self, spec: str):
@@ -228,14 +228,22 @@ class WordEncoder:
         self.pieces = regex.compile(split["pattern"]["Regex"])
         self.transducer = Transducer(self.merges)
         self.decoder = Decoder({v: k for k, v in model["vocab"].items()}, {v: k for k, v in self.special.items()}, False)
-        self.cache: dict[str, tuple[str, str, int]] = {}
-        self.words: dict[str, list[int]] = {}
-        self.marker = {k: (str(v), k, 1) for k, v in self.special.items()}
+        size = 1 + max(max(model["vocab"].values()), max(self.special.values(), default=0))
+        self.decimals = [str(k) for k in range(size)]
+        self.texts = [self.decoder.special.get(k) or self.decoder.names.get(k, "") for k in range(size)]
+        self.cache: dict[str, tuple[int, ...]] = {}
         self.odd_special = not all(x.startswith("<|") for x in self.special)
 
-    def word(self, piece: str) -> list[int]:
-        """Ids of one word. The cache of short words is of bounded size too."""
-        known = self.words.get(piece)
+    def keep(self, part: str, ids: tuple[int, ...]) -> tuple[int, ...]:
+        if len(part) <= 64:
+            if len(self.cache) >= CACHE_ENTRIES:
+                self.cache.clear()
+            self.cache[part] = ids
+        return ids
+
+    def word(self, piece: str) -> tuple[int, ...]:
+        """Ids of one word, which a long one gives as they settle."""
+        known = self.cache.get(piece)
         if known is not None:
             return known
         data = [LETTERS[b] for b in piece.encode()]
@@ -244,48 +252,38 @@ class WordEncoder:
             out: list[int] = []
             for symbol in data:
                 out += self.transducer.feed(symbol)
-            return [self.merges.ids[k] for k in out + self.transducer.finish()]
-        got = [self.merges.ids[k] for k in self.merges.short(data)]
-        if len(self.words) >= CACHE_ENTRIES:
-            self.words.clear()
-        self.words[piece] = got
-        return got
-
-    def part(self, part: str) -> tuple[str, str, int]:
-        """(ids, decoded text, number of ids) of what stands between white space."""
-        ids = [t for piece in ((part,) if part.isalpha() else self.pieces.findall(part)) for t in self.word(piece)]
-        got = " ".join(map(str, ids)), "".join(map(self.decoder.feed, ids)), len(ids)
-        self.decoder.finish()
-        if len(part) <= 64:
-            if len(self.cache) >= CACHE_ENTRIES:
-                self.cache.clear()
-            self.cache[part] = got
-        return got
+            out += self.transducer.finish()
+        else:
+            out = self.merges.short(data)
+        return self.keep(piece, tuple([self.merges.ids[k] for k in out]))
+
+    def part(self, part: str) -> tuple[int, ...]:
+        """Ids of what stands between white space."""
+        if part.isalpha():
+            return self.word(part)
+        pieces = self.pieces.findall(part)
+        if pieces == [part]:
+            return self.word(part)
+        return self.keep(part, tuple([t for piece in pieces for t in self.word(piece)]))
 
-    def parts(self, text: str) -> list[tuple[str, str, int]]:
-        """The results of a text's parts."""
+    def encode(self, text: str) -> list[int]:
         get, part, out = self.cache.get, self.part, []
         for segment in self.cut.split(text) if "<|" in text or self.odd_special else (text,):
-            if segment in self.marker:
-                out.append(self.marker[segment])
+            if segment in self.special:
+                out.append(self.special[segment])
                 continue
             if not segment.isascii():
                 segment = unicodedata.normalize("NFC", segment).replace("Σ", "σ")  # each letter is lowered on its own: no final sigma
             segment = segment.lower()
-            out += [get(x) or part(x) for x in (SPACE.split(segment) if NOT_SPACE.search(segment) else segment.split())]
+            for x in SPACE.split(segment) if NOT_SPACE.search(segment) else segment.split():
+                known = get(x)
+                out += part(x) if known is None else known
         return out
 
-    def digest(self, text: str) -> tuple[int, str, str]:
-        """(number of ids, SHA-256 of the decimal ids, SHA-256 of the decoded text)."""
-        got = self.parts(text)
-        counts = [x[2] for x in got]
-        if 0 in counts:
-            got = [x for x in got if x[2]]
+    def digest(self, ids: list[int]) -> tuple[str, str]:
+        """(SHA-256 of the decimal ids, SHA-256 of the decoded text)."""
         sha = lambda x: hashlib.sha256(x.encode()).hexdigest()
-        return sum(counts), sha(" ".join([x[0] for x in got])), sha(" ".join([x[1] for x in got]))
-
-    def encode(self, text: str) -> list[int]:
-        return [int(t) for got in self.parts(text) for t in got[0].split()]
+        return sha(" ".join(map(self.decimals.__getitem__, ids))), sha(" ".join(map(self.texts.__getitem__, ids)))
 
     def decode(self, ids: Iterable[int]) -> str:
         return "".join(map(self.decoder.feed, ids)) + self.decoder.finish()
@@ -302,8 +300,8 @@ def encoder_of(spec: str) -> WordEncoder:
     return _ENCODERS[key]
 
 
-def encode_words(docs: DataFrame, path: str, id_col: str = "doc_id", text: str = "text", with_ids: bool = False) -> DataFrame:
-    """For each row: id, n_tokens, ids_sha256, decoded_sha256, and with_ids the ids and the decoded text.
+def encode_words(docs: DataFrame, path: str, id_col: str = "doc_id", text: str = "text", with_ids: bool = False, with_text: bool = False) -> DataFrame:
+    """For each row: id, n_tokens, ids_sha256, decoded_sha256, and where asked for the ids and the decoded text.
 
     A null text is empty and has no ids. Each row stands for itself: repeated ids, ties and other columns play no part.
     Memory: a slice of texts, one text's parts, and caches of bounded size.
@@ -318,16 +316,17 @@ def encode_words(docs: DataFrame, path: str, id_col: str = "doc_id", text: str =
         encoder = encoder_of(held.value)
         for batch in slices(batches, text, SLICE_BYTES):
             texts = [x.decode("utf-8", "replace") for x in byte_texts(batch.column(text))]
-            rows = [encoder.digest(x) for x in texts]
-            n, ids, decoded = zip(*rows, strict=True)
-            out = [batch.column(id_col), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(decoded, pa.string())]
+            lists = [encoder.encode(x) for x in texts]
+            ids, decoded = zip(*map(encoder.digest, lists), strict=True)
+            out = [batch.column(id_col), pa.array(list(map(len, lists)), pa.int64()), pa.array(ids, pa.string()), pa.array(decoded, pa.string())]
             if with_ids:
-                lists = [encoder.encode(x) for x in texts]
-                out += [pa.array(lists, pa.list_(pa.int32())), pa.array([encoder.decode(x) for x in lists], pa.string())]
+                out.append(pa.array(lists, pa.list_(pa.int32())))
+            if with_text:
+                out.append(pa.array([encoder.decode(x) for x in lists], pa.string()))
             yield pa.RecordBatch.from_arrays(out, names)
 
-    names = [id_col, "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids", "decoded"] * with_ids
-    kinds = [docs.schema[id_col].dataType.simpleString(), "long", "string", "string"] + ["array<int>", "string"] * with_ids
+    names = [id_col, "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids"] * with_ids + ["decoded"] * with_text
+    kinds = [docs.schema[id_col].dataType.simpleString(), "long", "string", "string"] + ["array<int>"] * with_ids + ["string"] * with_text
     return docs.select(id_col, text).mapInArrow(run, ", ".join(f"`{a}` {b}" for a, b in zip(names, kinds, strict=True)))
 
 

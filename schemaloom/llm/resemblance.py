@@ -71,7 +71,8 @@ def linked(source: DataFrame, grouped: DataFrame, words_each: int = 5, least: tu
     not joined to it already; a group larger than a task is cut into parts, each two of which meet in one."""
     sizes = grouped.groupBy("group").agg(F.count("*").alias("n"), F.sum("size").alias("size")).where("n > 1")
     parts = sizes.select("group", F.greatest(F.ceil(F.col("n") / part_rows), F.ceil(F.col("size") / PART_SHINGLES)).alias("parts"))
-    held = source.join(grouped.select("id", "group").join(parts, "group"), "id").select("group", "parts", "id", "text")
+    # by sorting at every size: the texts' shuffle grows with them alone
+    held = source.join(grouped.select("id", "group").join(parts, "group").hint("merge"), "id").select("group", "parts", "id", "text")
 
     def sets_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "text", SLICE_BYTES):

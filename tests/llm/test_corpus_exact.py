@@ -43,7 +43,7 @@ def test_bpe_is_the_library(texts):
         ids = library.encode(x, add_special_tokens=False).ids
         assert encoder.encode(x) == ids
         assert encoder.decode(ids) == library.decode(ids, skip_special_tokens=False)
-        assert encoder.digest(x) == (len(ids), sha(" ".join(map(str, ids))), sha(library.decode(ids, skip_special_tokens=False)))
+        assert encoder.digest(ids) == (sha(" ".join(map(str, ids))), sha(library.decode(ids, skip_special_tokens=False)))
 
 
 def test_transducer_emits_early_and_holds_little():
