@@ -30,6 +30,7 @@ def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
     """The document with the smallest id of each group of near copies: five-word shingles, similarity 0.8 or more."""
     node = unused("node", docs)
     later = simhash.near_copies(docs).where("node <> component").select(F.col("node").alias(node))
+    later = later.hint("merge")  # the same plan at every size
     return docs.join(later, F.coalesce("doc_id", F.lit(simhash.NO_ID)) == F.col(node), "left_anti").select(docs.columns)
 
 
@@ -40,10 +41,10 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """doc_id, n_tokens, ids_sha256, decoded_sha256."""
+    """doc_id, n_tokens, ids_sha256, decoded_sha256, ids."""
     import public_tokenizers
 
-    return bpe.encode_words(docs, public_tokenizers.path("word_bpe_49k.json"))
+    return bpe.encode_words(docs, public_tokenizers.path("word_bpe_49k.json"), with_ids=True)
 
 
 STAGES = [
