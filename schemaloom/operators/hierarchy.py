@@ -118,13 +118,17 @@ def break_cycles(edges: DataFrame, bound: int = SMALL_EDGES) -> DataFrame:
             light = min(e[2] for e in on)
             left.remove(max(e for e in on if e[2] == light))
     now = edges
-    while True:
+    while True:  # one edge of each strongly connected component a round: components don't touch each other's order
         ways = reach(now, bound=bound).select("descendant", "ancestor")
-        on = now.join(ways, (F.col("parent") == F.col("descendant")) & (F.col("child") == F.col("ancestor")), "left_semi")
-        worst = cut(on.orderBy("weight", F.desc("child"), F.desc("parent")).limit(1))
+        back = ways.select(F.col("ancestor").alias("descendant"), F.col("descendant").alias("ancestor"))
+        part = ways.join(back, ["descendant", "ancestor"]).groupBy(F.col("descendant").alias("child")).agg(F.min("ancestor").alias("part"))
+        of = lambda c, n: part.select(F.col("child").alias(c), F.col("part").alias(n))
+        on = now.join(of("child", "_p"), "child").join(of("parent", "_q"), "parent").where("_p = _q")
+        order = Window.partitionBy("_p").orderBy("weight", F.desc("child"), F.desc("parent"))
+        worst = cut(on.withColumn("_k", F.row_number().over(order)).where("_k = 1").select("child", "parent"))
         if worst.isEmpty():
             return now
-        now = cut(now.join(F.broadcast(worst.select("child", "parent")), ["child", "parent"], "left_anti"))
+        now = cut(now.join(worst, ["child", "parent"], "left_anti"))
 
 
 def attach_orphans(edges: DataFrame, root: str = ROOT) -> DataFrame:
