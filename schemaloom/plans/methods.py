@@ -1,18 +1,16 @@
-"""Sampling, profiles, measures, cardinalities and the path-first workloads over the given tables."""
+"""Sampling, profiles, measures and exact cardinalities over the given tables."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from schemaloom.operators import asks
 from schemaloom.operators import hierarchy as h
 from schemaloom.operators import measures as m
 from schemaloom.operators import sampling as s
 from schemaloom.plans.registry import query, sql_query, table
 from schemaloom.sources import fixtures as fx
 from schemaloom.sources import fragments as fr
-from schemaloom.sources.shared import cut
 
 # --- sampling and profiles -------------------------------------------------------------------------------------------
 
@@ -87,59 +85,6 @@ def truth(repo: DataFrame) -> DataFrame:
     return h.merge_edges(h.path_edges(repo.select("table_id", F.lit(1).alias("path_no"), F.split("path", ">").alias("path"))))
 
 
-def inferred(repo: DataFrame, constraint: str, noise: int, verify: bool) -> tuple[DataFrame, DataFrame]:
-    """(paths, hierarchy) by the path-first method with the lexicon as completer. Narrow tables lack the column that
-    would show their lowest type."""
-    tables = repo.select("table_id", "path", (F.col("variant") != "narrow").alias("sees_leaf"))
-    paths = cut(asks.lexicon_paths(tables, constraint, noise))
-    edges = cut(h.prune_inverse(h.prune_self_loops(h.merge_edges(h.path_edges(paths)))))
-    if verify:
-        edges = h.verify_edges(edges, asks.lexicon_verdicts(edges, truth(repo)))
-    return paths, cut(h.attach_orphans(h.break_cycles(edges)))
-
-
-@query("p_step1", f"""
-SELECT child, parent, CAST(sum(n) AS BIGINT) AS weight FROM (
-  SELECT ts[k + 1] AS child, ts[k] AS parent, CASE WHEN k >= 3 THEN 2 ELSE 3 END AS n FROM (SELECT ts, unnest(range(1, len(ts))) AS k FROM (SELECT string_split('Thing>' || path, '>') AS ts FROM ({fr.FRAGMENTS_SQL})))) GROUP BY child, parent""")
-def step1(spark, sf_dir):
-    return inferred(cut(fr.repository(spark, sf_dir)), "none", 0, True)[1]
-
-
-def scored(spark, repo: DataFrame, label: str, constraint: str, noise: int, verify: bool) -> DataFrame:
-    """One row: label, RI and purity of top-level types, tree score, T#, L#."""
-    paths, edges = inferred(repo, constraint, noise, verify)
-    members = cut(h.type_tables(paths, edges))
-    tops = members.join(h.top_level(edges), "type_name").groupBy("table_id").agg(F.min("type_name").alias("predicted"))
-    items = tops.join(repo.select("table_id", F.split_part("path", F.lit(">"), F.lit(1)).alias("truth")), "table_id")
-    leaf = repo.select("table_id", F.element_at(F.split("path", ">"), -1).alias("gt_type"))
-    aligned = m.complete_paths(edges).join(m.align_types(members, leaf), "type_name", "left")
-    row = m.rand_index(items).withColumnRenamed("value", "ri").crossJoin(m.purity(items).withColumnRenamed("value", "purity"))
-    row = row.crossJoin(m.tree_scores(aligned, truth(repo)).agg(F.round(F.avg("score"), 6).alias("tree_score"))).crossJoin(m.type_count(edges).withColumnRenamed("value", "types"))
-    return row.crossJoin(h.levels(edges).agg(F.max("level").alias("depth"))).select(F.lit(label).alias("config"), "ri", "purity", "tree_score", "types", "depth")
-
-
-@query("w_ablate_constraints")
-def ablate_constraints(spark, sf_dir):
-    repo = cut(fr.repository(spark, sf_dir))
-    rows = [scored(spark, repo, c, c, 12, True) for c in asks.CONSTRAINTS]
-    return rows[0].union(rows[1]).union(rows[2]).union(rows[3]).union(rows[4])
-
-
-@query("w_ablate_verify")
-def ablate_verify(spark, sf_dir):
-    repo = cut(fr.repository(spark, sf_dir))
-    return scored(spark, repo, "without", "none", 12, False).union(scored(spark, repo, "with", "none", 12, True))
-
-
-@query("w_case_subtree", f"""
-WITH p AS (SELECT string_split(path, '>') AS ts FROM ({fr.FRAGMENTS_SQL}) WHERE path LIKE 'CreativeWork%')
-SELECT DISTINCT ts[k + 1] AS child, ts[k] AS parent FROM (SELECT ts, unnest(range(1, len(ts))) AS k FROM p)""")
-def case_subtree(spark, sf_dir):
-    edges = step1(spark, sf_dir)
-    below = h.reach(edges).where("ancestor = 'CreativeWork'").select(F.col("descendant").alias("child"))
-    return edges.join(below, "child", "left_semi").select("child", "parent")
-
-
 # --- measures ---------------------------------------------------------------------------------------------------------
 
 
@@ -227,13 +172,21 @@ def align(spark, sf_dir):
     return m.align_types(c.select(F.col("c_mktsegment").alias("type_name"), F.col("c_custkey").alias("table_id")), c.select(F.col("c_custkey").alias("table_id"), F.col("c_nationkey").cast("string").alias("gt_type")))
 
 
-@query("m_tree_score_path", "SELECT * FROM (VALUES ('1', round(2 / 3, 6)), ('2', 1.0), ('3', 1.0)) v(path_no, score)")
+#: The longest chain of a path whose members are equal to or below the one before, by recursion over positions.
+CHAINS = f"""
+WITH RECURSIVE t AS (SELECT CAST(path_no AS VARCHAR) AS path_no, pos, gt_type FROM {fx.TREE}), g AS (SELECT child, parent FROM {fx.TREE_TRUTH}),
+up(d, a) AS (SELECT child, parent FROM g UNION SELECT up.d, g.parent FROM up JOIN g ON g.child = up.a),
+chain(path_no, pos, gt_type, n) AS (SELECT path_no, pos, gt_type, 1 FROM t UNION ALL SELECT t.path_no, t.pos, t.gt_type, n + 1 FROM chain c JOIN t ON t.path_no = c.path_no AND t.pos > c.pos AND (t.gt_type = c.gt_type OR EXISTS (SELECT 1 FROM up WHERE d = t.gt_type AND a = c.gt_type))),
+scores AS (SELECT t.path_no, round(max(n) / count(DISTINCT t.pos), 6) AS score, max(n) / count(DISTINCT t.pos) AS exact FROM t JOIN chain USING (path_no) GROUP BY t.path_no)"""
+
+
+@query("m_tree_score_path", f"{CHAINS} SELECT path_no, score FROM scores")
 def tree_score_path(spark, sf_dir):
     rows = fx.relation(spark, fx.TREE)
     return m.tree_scores(rows, fx.relation(spark, fx.TREE_TRUTH)).withColumn("score", F.round("score", 6))
 
 
-@query("m_tree_score", "SELECT round(8 / 9, 6) AS value")
+@query("m_tree_score", f"{CHAINS} SELECT round(avg(exact), 6) AS value FROM scores")
 def tree_score(spark, sf_dir):
     rows = fx.relation(spark, fx.TREE)
     return m.tree_scores(rows, fx.relation(spark, fx.TREE_TRUTH)).agg(F.round(F.avg("score"), 6).alias("value"))
@@ -256,15 +209,14 @@ def card_acc(spark, sf_dir):
     return m.cardinality_accuracy(rows.where("predicted = 1").select(*on, "cardinality"), rows.where("truth = 1").select(*on, "cardinality"), on)
 
 
+# formulas on printed or literal numbers; the workloads compute their own
 sql_query("m_cost_rollup", f"SELECT corpus, stage, CAST(sum(calls) AS BIGINT) AS calls, CAST(sum(milli_usd) AS BIGINT) AS milli_usd FROM {fx.LEDGER} GROUP BY ROLLUP (corpus, stage)")
 sql_query("m_best_two", f"SELECT method, config, corpus, CAST(place AS INT) AS place FROM (SELECT method, config, corpus, dense_rank() OVER (PARTITION BY method, corpus ORDER BY score DESC) AS place FROM {fx.TREE_SCORES}) t WHERE place <= 2")
 sql_query("m_spread", f"SELECT method, corpus, CAST(max(score) - min(score) AS INT) AS spread FROM {fx.TREE_SCORES} GROUP BY method, corpus")
 sql_query("m_gains", f"SELECT a.corpus, a.method AS better, b.method AS base, CAST(a.best - b.best AS INT) AS gain FROM (SELECT method, corpus, max(score) AS best FROM {fx.TREE_SCORES} GROUP BY method, corpus) a JOIN (SELECT method, corpus, max(score) AS best FROM {fx.TREE_SCORES} GROUP BY method, corpus) b ON a.corpus = b.corpus AND a.best > b.best")
 sql_query("m_gains_same", f"SELECT a.corpus, a.config, CAST(a.score - b.score AS INT) AS gain FROM {fx.TREE_SCORES} a JOIN {fx.TREE_SCORES} b ON a.corpus = b.corpus AND a.config = b.config WHERE a.method = 'path-first' AND b.method = 'type-then-taxonomy'")
-sql_query("b_compare", f"SELECT corpus, max(CASE WHEN method = 'path-first' THEN score END) AS path_first, max(CASE WHEN method = 'affinity' THEN score END) AS affinity, max(CASE WHEN method = 'type-then-taxonomy' THEN score END) AS baseline FROM {fx.TREE_SCORES} GROUP BY corpus")
 sql_query("m_slope", "SELECT round(regr_slope(ln(t), ln(n)), 6) AS value FROM (SELECT * FROM (VALUES (1000, 10.0), (2000, 21.0), (5000, 52.0), (10000, 110.0)) AS v(n, t)) s")
 sql_query("g_runs_mean", "SELECT run, round(avg(v), 6) AS mean, round(stddev_samp(v), 6) AS dev FROM (SELECT * FROM (VALUES ('a', 0.5), ('a', 0.7), ('b', 0.25), ('b', 0.5)) AS t(run, v)) s GROUP BY run")
-sql_query("w_cost", f"SELECT corpus, CAST(sum(calls) AS BIGINT) AS calls, CAST(sum(milli_usd) AS BIGINT) AS milli_usd FROM {fx.LEDGER} GROUP BY corpus")
 
 # --- relationships and cardinalities ----------------------------------------------------------------------------------
 
@@ -287,31 +239,6 @@ def card_rule(spark, sf_dir):
     return rows.select("rel", s.rule_cardinality(F.col("uniq_pct") / 100, F.col("multi_pct") / 100, F.col("null_pct") / 100).alias("cardinality"))
 
 
-WIDE = {"country": ("customer JOIN nation ON c_nationkey = n_nationkey", "n_name"), "customer": ("orders JOIN customer ON o_custkey = c_custkey", "c_name")}
-EVIDENCE = "SELECT '{n}' AS attr, count(*) AS cells, round(count(*) FILTER (v IS NULL) / count(*), 6) AS rho_null, round(count(DISTINCT v) / count(*), 6) AS rho_uniq FROM (SELECT {c} AS v FROM {s})"
-
-
-@query("p_evidence", " UNION ALL ".join(EVIDENCE.format(n=n, c=c, s=src) for n, (src, c) in WIDE.items()))
-def evidence(spark, sf_dir):
-    c = table(spark, sf_dir, "customer").join(table(spark, sf_dir, "nation"), F.col("c_nationkey") == F.col("n_nationkey")).select(F.lit("country").alias("attr"), F.col("n_name").alias("v"))
-    o = table(spark, sf_dir, "orders").join(table(spark, sf_dir, "customer"), F.col("o_custkey") == F.col("c_custkey")).select(F.lit("customer").alias("attr"), F.col("c_name").alias("v"))
-    shares = F.round(F.count_if(F.col("v").isNull()) / F.count("*"), 6).alias("rho_null"), F.round(F.count_distinct("v") / F.count("*"), 6).alias("rho_uniq")
-    return c.union(o).groupBy("attr").agg(F.count("*").alias("cells"), *shares)
-
-
-@query("p_entity_attrs", "SELECT 'nation' AS base, 'n_name' AS header")
-def entity_attrs(spark, sf_dir):
-    b = fr.BY_NAME["nation"]
-    found = s.profile(fr.keyed(spark, sf_dir, b).withColumn("k", F.lit("all")), "k", list(b.columns)).where(s.kind() == "entity")
-    return found.select(F.lit("nation").alias("base"), "header")
-
-
-@query("p_attr_values", "SELECT DISTINCT v AS value FROM (SELECT n_name AS v, dense_rank() OVER (ORDER BY md5(concat_ws('|', '0', n_name))) AS r FROM customer JOIN nation ON c_nationkey = n_nationkey) WHERE r <= 5")
-def attr_values(spark, sf_dir):
-    c = table(spark, sf_dir, "customer").join(table(spark, sf_dir, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
-    return s.sample_values(c.select(F.lit("country").alias("k"), "n_name"), "k", ["n_name"]).select("value")
-
-
 @query("p_descendants", f"WITH RECURSIVE r(t, top) AS (SELECT child, child FROM {fx.EDGES} WHERE parent = 'Thing' UNION SELECT e.child, top FROM r JOIN {fx.EDGES} e ON e.parent = r.t) SELECT top, t AS candidate FROM r")
 def descendants(spark, sf_dir):
     edges = fx.relation(spark, fx.EDGES)
