@@ -10,22 +10,23 @@ from schemaloom.plans.registry import TABLES
 from schemaloom.sources import fixtures as fx
 
 SMALL = "/root/testdata/sf0.001"
-HELD = ("p_step1", "p_verify", "p_closure", "p_lca", "p_promote_90", "p_promote_50", "p_type_tables", "g_sample_rows_customer", "g_profile_orders", "m_pair_counts", "m_tree_score_path", "a_jaccard", "a_components", "a_links_gen", "s_join_asof", "t_tumbling", "t_edge_weights")
+#: Queries over numbers that DuckDB and Spark sum in other orders are compared to so many digits.
+DIGITS = 5
 
 
 def test_every_query_is_named_once_and_oracles_belong_to_queries():
     assert set(ORACLES) <= set(QUERIES) and len(QUERIES) > 100
 
 
-@pytest.mark.parametrize("name", HELD)
+@pytest.mark.parametrize("name", sorted(ORACLES))
 def test_queries_against_duckdb(spark, name):
     con = duckdb.connect()
     for t in TABLES:
         con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{SMALL}/{t}.parquet'")
     df = QUERIES[name](spark, SMALL)
     cols = sorted(df.columns)
-    want = con.sql(f"SELECT {', '.join(cols)} FROM ({ORACLES[name]})").fetchall()
-    norm = lambda r: tuple(f"{x:.6f}" if isinstance(x, float) else str(x) for x in r)
+    want = con.sql(f"SELECT {', '.join(f'{chr(34)}{c}{chr(34)}' for c in cols)} FROM ({ORACLES[name]})").fetchall()
+    norm = lambda r: tuple(f"{x:.{DIGITS}f}" if isinstance(x, float) else str(x) for x in r)
     assert sorted(map(norm, df.select(cols).collect())) == sorted(map(norm, want))
 
 
