@@ -16,7 +16,7 @@ SLICE_BYTES = 1 << 20
 #: Similarity of near copies, as a fraction of whole numbers.
 LEAST = (4, 5)
 #: Texts and shingles of one part of a group; two parts meet in one task.
-PART_ROWS, PART_SHINGLES = 1024, 1 << 21
+PART_ROWS, PART_SHINGLES = 1024, 1 << 20
 ODD = 0x9E3779B97F4A7C15
 
 

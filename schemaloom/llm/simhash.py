@@ -25,7 +25,7 @@ BUCKET_ROWS = 256
 BATCH_ROWS = 1 << 17
 #: Rows of a bucket that meet in one task; a larger one is cut into parts that meet in pairs.
 PART_ROWS = 1 << 18
-FRONTIER = 1 << 20
+FRONTIER = 1 << 17
 SIGN = np.uint64(1 << 63)
 #: near_copies: keys of a text, minimum hashes in each, and the trie's error budget for a similarity of 0.8. Two texts at
 #: 0.8 share no key with a chance of 4e-5; their fingerprints differ in 10 bits of 64 on average, in over 20 with one
