@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from schemaloom.llm.shared import byte_texts, documents, slices
 
 SLICE_BYTES = 4 << 20
-CACHE_ENTRIES = 600_000
+CACHE_ENTRIES = 350_000
 #: Bytes of a tokenizer file that is broadcast.
 MODEL_BYTES = 64 << 20
 TOKEN = ""  # the key of a trie node under which its token stands
@@ -63,7 +63,9 @@ class MergeList:
             symbols.append(symbols[left] + symbols[right])
         self.names = list(order)
         self.ids = [vocabulary[x] for x in self.names]
-        self.reach = max(map(len, symbols), default=1)
+        self.sizes = list(map(len, symbols))
+        self.reach = max(self.sizes, default=1)
+        self.lookahead = self.longest_chain()
         self.trie: dict = {}
         for k, path in enumerate(symbols):
             node = self.trie
@@ -72,6 +74,47 @@ class MergeList:
             node[TOKEN] = k
         self.known: dict[tuple[int, int], bool] = {}
 
+    def right_parts(self, token: int) -> Iterator[int]:
+        """The token, what it ends with, what that ends with, down to a symbol."""
+        yield token
+        while token >= self.bases:
+            token = self.parts[token][1]
+            yield token
+
+    def longest_chain(self) -> int:
+        """Symbols that may have to be seen behind a boundary until no merge can reach it any more. A merge takes the end
+        of the token before a boundary; its own end may be taken by an earlier merge alone, and so on. Merges in their
+        order: the chain behind each is that of its right part's ends."""
+        best: dict[int, int] = {}
+        for token in range(self.bases, len(self.parts)):
+            left, right = self.parts[token]
+            chain = self.sizes[right] + max((best.get(x, 0) for x in self.right_parts(right)), default=0)
+            best[left] = max(best.get(left, 0), chain)
+        return max(best.values(), default=0)
+
+    def check(self) -> None:
+        """Raises if a token's own text is encoded otherwise: such a list has no bounded lookahead that holds."""
+        for k in range(self.bases, len(self.parts)):
+            if not self.compatible(*self.parts[k]) and self.join[self.parts[k]] != k:
+                raise ValueError(f"no text is encoded as {self.names[k]!r}")
+            left, right = self.parts[k]
+            if not self.made_whole(left, right, k):
+                raise ValueError(f"no text is encoded as {self.names[k]!r}")
+
+    def made_whole(self, left: int, right: int, token: int) -> bool:
+        """Whether the two parts stand side by side until their own merge."""
+        a, b, bound = left, right, token
+        while True:
+            made = self.join.get((a, b), bound)
+            if made < bound and (a, b) != (left, right):
+                return False
+            if a > b and a >= self.bases or b < self.bases <= a:
+                bound, a = a, self.parts[a][1]
+            elif b >= self.bases:
+                bound, b = b + 1, self.parts[b][0]
+            else:
+                return True
+
     def compatible(self, a: int, b: int) -> bool:
         """Whether the encoding of both tokens' text is just a, b: no merge across the boundary comes before those that
         made them. Undoes the later of the two merges, again and again."""
@@ -154,7 +197,12 @@ class Transducer:
         self.live = live
         self.last.append(token)
         self.back.append(start)
-        return self.settle() if len(self.last) > 4 * merges.reach else []
+        if len(self.last) <= 4 * merges.reach:
+            return []
+        out = self.settle()
+        if len(self.last) > 4 * merges.reach + merges.lookahead:
+            raise ValueError("the merge list holds more than its lookahead")
+        return out
 
     def settle(self) -> list[int]:
         """Emits up to the last boundary that lies on the way back from every live one."""
@@ -310,6 +358,7 @@ def encode_words(docs: DataFrame, path: str, id_col: str = "doc_id", text: str =
         spec = f.read(MODEL_BYTES + 1)
     if len(spec) > MODEL_BYTES:
         raise ValueError(f"{path} is too large to broadcast")
+    encoder_of(spec).merges.check()
     held = docs.sparkSession.sparkContext.broadcast(spec)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
