@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from schemaloom.llm.shared import Scratch, byte_texts, documents, slices
+from schemaloom.llm.shared import Scratch, byte_texts, documents, slices, unused
 
 BLANK = b" \t\n\x0b\x0c\r"
 CONTINUATION = bytes(range(0x80, 0xC0))
@@ -77,9 +77,11 @@ class PerfectHash:
 
 class Shard:
     """A perfect hash over first halves of 128-bit line hashes, with the second halves as fingerprints, the number of
-    documents and the last document of each line."""
+    documents and the last document of each line. Of lines that share first halves one is in the hash; the others stand
+    in a short list beside it, which is compared whole."""
 
-    def __init__(self, levels, prints, counts, last):
+    def __init__(self, levels, prints, counts, last, more=b""):
+        self.more = np.frombuffer(more, np.int64).reshape(-1, 4)
         self.hash, self.prints, self.counts, self.last = PerfectHash([np.frombuffer(x, np.uint64) for x in levels]), np.frombuffer(prints, np.uint64), np.frombuffer(counts, np.uint32), np.frombuffer(last, np.int64)
 
     @staticmethod
@@ -89,12 +91,23 @@ class Shard:
         put = lambda values, kind: values.astype(kind)[np.argsort(at)].tobytes()
         return [x.tobytes() for x in index.levels], put(second, np.uint64), put(np.minimum(counts, 0xFFFFFFFF), np.uint32), put(last, np.int64)
 
+    @classmethod
+    def pack(cls, first: np.ndarray, second: np.ndarray, counts: np.ndarray, last: np.ndarray) -> tuple:
+        """What makes a shard of lines with any hashes."""
+        once = np.unique(first, return_index=True)[1]
+        rest = np.setdiff1d(np.arange(len(first)), once)
+        more = np.stack((first[rest].view(np.int64), second[rest].view(np.int64), counts[rest].astype(np.int64), last[rest]), axis=1) if len(rest) else np.zeros((0, 4), np.int64)
+        return *cls.arrays(first[once], second[once], counts[once], last[once]), more.tobytes()
+
     def others_hold(self, first: np.ndarray, second: np.ndarray, doc: np.ndarray, least_docs: int) -> np.ndarray:
         """Whether enough documents have the line and the last of them is another."""
         at = self.hash.lookup(first)
         found = np.zeros(len(first), bool)
         some = np.flatnonzero(at >= 0)
         found[some] = (self.prints[at[some]] == second[some]) & (self.counts[at[some]] >= least_docs) & (self.last[at[some]] != doc[some])
+        for a, b, n, last in self.more.tolist():
+            if n >= least_docs:
+                found |= (first.view(np.int64) == a) & (second.view(np.int64) == b) & (doc != last)
         return found
 
 
@@ -166,17 +179,16 @@ def drop_repeated_lines(docs: DataFrame, id_col: str = "doc_id", text: str = "te
     def build(table: pa.Table) -> pa.Table:
         get = lambda c: table.column(c).to_numpy()
         first, second = get("first").view(np.uint64), get("second").view(np.uint64)
-        once = np.unique(first, return_index=True)[1]  # two lines that share 64 bits of their hashes: the first only
-        levels, prints, counts, last = Shard.arrays(first[once], second[once], get("n")[once], get("last")[once])
-        return pa.table({"shard": pa.array([table.column("shard")[0].as_py()], pa.int64()), "levels": pa.array([levels], pa.list_(pa.binary())), "prints": pa.array([prints], pa.binary()), "counts": pa.array([counts], pa.binary()), "last": pa.array([last], pa.binary())})
+        levels, prints, counts, last, more = Shard.pack(first, second, get("n"), get("last"))
+        return pa.table({"shard": pa.array([table.column("shard")[0].as_py()], pa.int64()), "levels": pa.array([levels], pa.list_(pa.binary())), "prints": pa.array([prints], pa.binary()), "counts": pa.array([counts], pa.binary()), "last": pa.array([last], pa.binary()), "more": pa.array([more], pa.binary())})
 
     number = F.shiftrightunsigned(F.shiftrightunsigned("first", 32) * shards, 32).alias("shard")
-    kind = "shard long, levels array<binary>, prints binary, counts binary, last binary"
+    kind = "shard long, levels array<binary>, prints binary, counts binary, last binary, more binary"
     arrays = scratch.table("arrays", repeated.select("*", number).groupBy("shard").applyInArrow(build, kind))
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema) + ", n_lines long, n_dropped long, kept_text string"
 
     if keys * 24 <= broadcast_bytes:
-        held = spark.sparkContext.broadcast({r.shard: (r.levels, r.prints, r.counts, r.last) for r in arrays.toLocalIterator()})
+        held = spark.sparkContext.broadcast({r.shard: (r.levels, r.prints, r.counts, r.last, r.more) for r in arrays.toLocalIterator()})
         made: dict[int, Shard] = {}
 
         def probe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -215,19 +227,20 @@ def routed(docs: DataFrame, scratch: Scratch, arrays: DataFrame, shards: int, fi
             return left.select(["doc", "first", "second"]).slice(0, 0)
         row = right.slice(0, 1).to_pylist()[0]
         get = lambda c: left.column(c).to_numpy()
-        gone = Shard(row["levels"], row["prints"], row["counts"], row["last"]).others_hold(get("first").view(np.uint64), get("second").view(np.uint64), get("doc"), least_docs)
+        gone = Shard(row["levels"], row["prints"], row["counts"], row["last"], row["more"]).others_hold(get("first").view(np.uint64), get("second").view(np.uint64), get("doc"), least_docs)
         return left.select(["doc", "first", "second"]).filter(pa.array(gone))
 
     hits = lines.groupBy("shard", "salt").cogroup(spread.groupBy("shard", "salt")).applyInArrow(probe, "doc long, first long, second long")
-    per_doc = scratch.table("hits", hits.groupBy("doc").agg(F.collect_set(F.struct("first", "second")).alias("_gone")).withColumnRenamed("doc", "_doc"))
-    joined = docs.join(per_doc, F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)) == F.col("_doc"), "left").drop("_doc")
+    of, dropped = unused("_doc", docs), unused("_gone", docs)
+    per_doc = scratch.table("hits", hits.groupBy("doc").agg(F.collect_set(F.struct("first", "second")).alias(dropped)).withColumnRenamed("doc", of))
+    joined = docs.join(per_doc, F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)) == F.col(of), "left").drop(of)
 
     def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, text, SLICE_BYTES):
             split, owner, place, first, second = hashed(byte_texts(batch.column(text)), least_chars)
-            sets = [{(g["first"], g["second"]) for g in x or ()} for x in batch.column("_gone").to_pylist()]
+            sets = [{(g["first"], g["second"]) for g in x or ()} for x in batch.column(dropped).to_pylist()]
             gone = np.array([(a, b) in sets[k] for k, a, b in zip(owner.tolist(), first.view(np.int64).tolist(), second.view(np.int64).tolist(), strict=True)], bool)
-            rest = batch.select([c for c in batch.schema.names if c != "_gone"])
+            rest = batch.select([c for c in batch.schema.names if c != dropped])
             yield rewritten(rest, id_col, text, split, owner, place, gone)
 
     return joined.mapInArrow(apply, fields)
