@@ -179,6 +179,12 @@ def write_archives(pages: DataFrame, folder: str, date: str = "1970-01-01T00:00:
     return pages.mapInArrow(run, "file string")
 
 
+def dealt(files: DataFrame) -> DataFrame:
+    """About a file for each task: ranged, so that no two names need share one, and with a stated number, which adaptive
+    plans leave alone. files is a written table with a row for each file."""
+    return files.repartitionByRange(max(1, files.count()), "file")
+
+
 def normalise_archives(files: DataFrame, folder: str, to: str) -> DataFrame:
     """Each monolithic file, inflated once: records as members of their own in `to`, with a sidecar index in JSON
     lines. A retried task writes both anew. Gives a row for each file: file, records."""
@@ -194,7 +200,7 @@ def normalise_archives(files: DataFrame, folder: str, to: str) -> DataFrame:
                 write_whole(fs, f"{out}/{name}.index.jsonl", (json.dumps(x).encode() + b"\n" for x in index))
                 yield pa.RecordBatch.from_pydict({"file": [name], "records": pa.array([len(index)], pa.int64())})
 
-    return files.repartition("file").mapInArrow(run, "file string, records long")
+    return dealt(files).mapInArrow(run, "file string, records long")
 
 
 def parsed(member: bytes) -> dict:
@@ -255,7 +261,7 @@ def archived(pages: DataFrame, least_bytes: int = 0, payloads: bool = True) -> D
     written = scratch.table("written", write_archives(with_revisits(pages, scratch, least_bytes), scratch.path("monolithic")))
     normal = scratch.table("normal", normalise_archives(written, scratch.path("monolithic"), scratch.path("members")))
     scratch.drop("monolithic")
-    return read_archives(normal.repartition("file"), scratch.path("members"), payloads)
+    return read_archives(dealt(normal), scratch.path("members"), payloads)
 
 
 def op3_warc_normaliser(spark, sf_dir: str) -> DataFrame:
