@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from schemaloom.llm.shared import Scratch, byte_texts, documents, slices
+from schemaloom.llm.shared import Scratch, byte_texts, documents, slices, unused
 
 LENGTH = 100
 GRAM = 32
@@ -75,7 +75,7 @@ class Contexts:
     """The contexts of a slice of texts: group, text number, first start, number of starts, whether a string may recur
     within it."""
 
-    def __init__(self, texts: list[bytes], length: int, heavy: np.ndarray | None = None):
+    def __init__(self, texts: list[bytes], length: int, heavy: Filter | None = None):
         sizes = np.array([len(x) for x in texts], np.int64)
         self.offsets = np.concatenate(([0], np.cumsum(sizes)))
         self.bytes = b"".join(texts)
@@ -102,15 +102,15 @@ class Contexts:
         # long runs are cut every MOST_STARTS
         head = np.maximum.accumulate(np.where(edge, np.arange(len(at)), 0))
         edge |= (np.arange(len(at)) - head) % MOST_STARTS == 0
-        if heavy is not None and len(heavy):
-            alone = np.isin(least[at], heavy)
+        if heavy is not None:
+            alone = heavy.has(least[at])
             edge |= alone | np.concatenate(([False], alone[:-1]))
         begin = np.flatnonzero(edge)
         self.place = at[begin]
         self.starts = np.diff(np.concatenate((begin, [len(at)])))
         self.group = least[self.place]
         self.alone = np.zeros(len(begin), bool)
-        if heavy is not None and len(heavy):
+        if heavy is not None:
             self.alone = alone[begin]
             for k in np.flatnonzero(self.alone).tolist():
                 p = int(self.place[k])
@@ -124,7 +124,7 @@ class Contexts:
     def periodic(h: np.ndarray, width: int, begin: np.ndarray, at: np.ndarray, n: int) -> np.ndarray:
         """Contexts near a gram that stands again within MOST_STARTS: of any string that recurs so soon, one gram in
         `width` neighbours lies at a multiple of the step."""
-        step = width - 5
+        step = max(1, width - 5)
         probed = h[::step].copy()
         again = np.zeros(len(probed), bool)
         padded = np.concatenate((h, np.zeros(MOST_STARTS + step, np.uint64)))
@@ -307,7 +307,7 @@ def duplicate_ranges(docs: DataFrame, scratch: Scratch, id_col: str, text: str,
             if only:
                 batch = batch.filter(pa.array(only.value.has(place_keys(doc, np.zeros(len(doc))))))
                 doc = batch.column("doc").to_numpy()
-            found = Contexts(byte_texts(batch.column("text")), length, heavy)
+            found = Contexts(byte_texts(batch.column("text")), length, heavy.value if heavy else None)
             if len(found.group):
                 yield doc, found
 
@@ -325,12 +325,12 @@ def duplicate_ranges(docs: DataFrame, scratch: Scratch, id_col: str, text: str,
             keys = place_keys(batch.column(0).to_numpy(), batch.column(1).to_numpy())
             yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64))], ["k"])
 
-    def seen(heavy: np.ndarray, only=None) -> DataFrame:
+    def seen(heavy=None, only=None) -> DataFrame:
         """Contexts of groups that stand more than once; with heavy, the single strings of those groups instead."""
 
         def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for docs_, found in each(batches, heavy, only):
-                keep = np.flatnonzero(found.alone if len(heavy) else groups.value.has(found.group))
+                keep = np.flatnonzero(found.alone if heavy else groups.value.has(found.group))
                 digests = np.array([xxhash.xxh3_64_intdigest(found.content(k)) for k in keep.tolist()], np.uint64)
                 yield pa.RecordBatch.from_arrays([pa.array(found.group[keep].view(np.int64)), pa.array(digests.view(np.int64)), pa.array(docs_[found.text[keep]]), pa.array(found.first[keep].astype(np.int32)), pa.array(found.starts[keep].astype(np.int16)), pa.array(found.recurs[keep])], ["g", "c", "doc", "first", "starts", "recurs"])
 
@@ -342,17 +342,24 @@ def duplicate_ranges(docs: DataFrame, scratch: Scratch, id_col: str, text: str,
         several = contexts.groupBy("g").agg(F.count("*").alias("kinds"), F.max("recurs").alias("recurs")).where("kinds > 1 or recurs")
         return contexts, scratch.table(f"groups-{name}", several)
 
-    heavy = np.zeros(0, np.uint64)
-    rows = scratch.table("rows", seen(heavy))
+    heavy = None
+    rows = scratch.table("rows", seen())
     contexts, per_group = grouped(rows, "all")
-    large = per_group.where(F.col("kinds") > heavy_contexts).select("g")
-    if more := [r.g for r in large.toLocalIterator()]:
+    large = scratch.table("large", per_group.where(F.col("kinds") > heavy_contexts).select("g"))
+    if not large.isEmpty():
+        # a filter of them: what it lets through besides is split alike, wherever it stands
+        heavy = filter_of(large, filter_bits)
+
+        def split(batches: Iterator[pa.RecordBatch], inside: bool) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                yield batch.filter(pa.array(heavy.value.has(batch.column("g").to_numpy().view(np.uint64)) == inside))
+
         # only texts that hold such contexts are read again
-        heavy = np.array(more, np.int64).view(np.uint64)
-        holders = rows.join(large, "g", "left_semi").select("doc", F.lit(0).alias("first")).distinct()
+        kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in rows.schema)
+        holders = rows.mapInArrow(lambda x: split(x, True), kinds).select("doc", F.lit(0).alias("first")).distinct()
         only = filter_of(scratch.table("holders", holders.mapInArrow(keyed, "k long")), filter_bits)
         single = scratch.table("single", seen(heavy, only))
-        rows = rows.join(large, "g", "left_anti").select(single.columns).union(single)
+        rows = rows.mapInArrow(lambda x: split(x, False), kinds).union(single)
         contexts, per_group = grouped(rows, "split")
     # contexts that stood before go whole
     again = contexts.where("n > 1").select("g", "c", "place")
@@ -417,14 +424,16 @@ def cut_repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", len
         raise ValueError("length must be from 32 to 128")
     scratch = Scratch(docs.sparkSession, "suffixes")
     ranges = duplicate_ranges(docs, scratch, id_col, text, length, heavy_contexts)
-    per_doc = scratch.table("ranges", ranges.groupBy("doc").agg(F.sort_array(F.collect_set(F.struct("first", "bytes"))).alias("_ranges")).withColumnRenamed("doc", "_doc"))
     source = docs.select(F.col(id_col), F.col(text))
-    joined = source.join(per_doc, F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)) == F.col("_doc"), "left").drop("_doc")
+    of, cuts = unused("_doc", source), unused("_ranges", source)
+    per_doc = scratch.table("ranges", ranges.groupBy("doc").agg(F.sort_array(F.collect_set(F.struct("first", "bytes"))).alias(cuts)).withColumnRenamed("doc", of))
+    scratch.drop("groups", "rows", "contexts-all", "groups-all", "large", "holders", "single", "contexts-split", "groups-split", "wanted")
+    joined = source.join(per_doc, F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)) == F.col(of), "left").drop(of)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, text, CUT_BYTES):
             rows = []
-            for data, ranges_ in zip(byte_texts(batch.column(text)), batch.column("_ranges").to_pylist(), strict=True):
+            for data, ranges_ in zip(byte_texts(batch.column(text)), batch.column(cuts).to_pylist(), strict=True):
                 spans: list[list[int]] = []
                 for r in ranges_ or ():
                     a, b = min(r["first"], len(data)), min(r["first"] + r["bytes"], len(data))
