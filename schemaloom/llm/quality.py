@@ -80,13 +80,14 @@ class Model:
 
     def scores(self, rates: np.ndarray, block: int = 256) -> np.ndarray:
         """Exact cosines with every labelled vector, a block of documents at a time; the nearest ones' labels, weighted
-        by a power of the cosine. The prior where no cosine is above zero."""
+        by a power of the cosine. Of equally near ones the first in the sample, by id. The prior where no cosine is above zero."""
         out = np.full(len(rates), self.prior)
         n = min(self.neighbours, len(self.labels))
+        later = 1e-12 * np.arange(len(self.labels))
         if not n:
             return out
         for at in range(0, len(rates), block):
-            cosine = unit(self.weighted(rates[at : at + block]) @ self.axes) @ self.vectors.T
+            cosine = unit(self.weighted(rates[at : at + block]) @ self.axes) @ self.vectors.T - later
             near = np.argpartition(-cosine, n - 1, axis=1)[:, :n]
             weight = np.maximum(0, np.take_along_axis(cosine, near, 1)) ** self.power
             total = weight.sum(axis=1)
@@ -114,8 +115,10 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str =
             at = [np.flatnonzero(x) for x in found]
             yield pa.RecordBatch.from_arrays([batch.column("_id").cast(pa.int64()), batch.column("_label"), pa.array([k.astype(np.int16) for k in at], pa.list_(pa.int16())), pa.array([x[k].astype(np.float32) for x, k in zip(found, at, strict=True)], pa.list_(pa.float32()))], ["id", "label", "at", "rate"])
 
-    rows = texts.select(F.col("_id").cast("long").alias("_id"), "_label", "_text").mapInArrow(terms, "id long, label double, at array<short>, rate array<float>").toArrow()
-    order = np.argsort(rows.column("id").to_numpy(), kind="stable")[: 2 * sample]  # texts of repeated ids count each, within a bound
+    # of texts that share an id the one with the smallest hash, so that no more than the sample is collected
+    once = texts.groupBy("_id", "_label").agg(F.min_by("_text", F.xxhash64("_text")).alias("_text"))
+    rows = once.select(F.col("_id").cast("long").alias("_id"), "_label", "_text").mapInArrow(terms, "id long, label double, at array<short>, rate array<float>").toArrow()
+    order = np.argsort(rows.column("id").to_numpy(), kind="stable")
     at, rate = (rows.column(c).combine_chunks() for c in ("at", "rate"))
     ends = np.cumsum([0, *(len(x) for x in at)]) if len(at) else np.zeros(1, np.int64)
     values, places = rate.flatten().to_numpy(), at.flatten().to_numpy()
