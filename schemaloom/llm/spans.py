@@ -11,7 +11,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from schemaloom.llm.shared import Scratch, byte_texts, documents, slices
+from schemaloom.llm.shared import Scratch, byte_texts, documents, slices, unused
 
 SLICE_BYTES = 4 << 20
 NO_ID = -(1 << 63)  # stands for a null doc_id, which comes first
@@ -30,24 +30,34 @@ def sentences(text: bytes) -> list[bytes]:
 
 
 def spans_of(parts: list[bytes], least_words: int) -> tuple[np.ndarray, np.ndarray, list[bytes]]:
-    """(first sentence, number of sentences, key) of the shortest run from each sentence that holds least_words words.
-    A key is the run's words, A-Z lowered, with single spaces; sentences without words begin no run."""
+    """(first sentence, number of sentences, key) of every run that is looked for: from each sentence with words, and up
+    to each, the shortest one of two such sentences at least that holds least_words words; the whole text if there is
+    none. A key is the run's words, A-Z lowered, with single spaces."""
     words = [x.lower().split() for x in parts]
-    ends = np.cumsum([len(x) for x in words])
+    place = np.flatnonzero([len(x) > 0 for x in words])
+    if not len(place):
+        return place, place, []
+    joined = [b" ".join(words[k]) for k in place.tolist()]
+    ends = np.cumsum([len(words[k]) for k in place.tolist()])
     before = np.concatenate(([0], ends[:-1]))
-    last = np.searchsorted(ends, before + least_words)
-    first = np.flatnonzero((last < len(parts)) & (ends > before))
-    joined = [b" ".join(x) for x in words]
-    keys = [b" ".join(x for x in joined[a : b + 1] if x) for a, b in zip(first.tolist(), last[first].tolist(), strict=True)]
-    return first, last[first] - first + 1, keys
+    n = np.arange(len(place))
+    last = np.maximum(np.searchsorted(ends, before + least_words), n + 1)
+    head = np.minimum(np.searchsorted(before, ends - least_words, "right") - 1, n - 1)
+    forth, back = last < len(place), head >= 0
+    runs = np.unique(np.concatenate((np.stack((n[forth], last[forth]), axis=1), np.stack((head[back], n[back]), axis=1))), axis=0)
+    if not len(runs):
+        runs = np.array([[0, len(place) - 1]])
+    keys = [b" ".join(joined[a : b + 1]) for a, b in runs.tolist()]
+    first = place[runs[:, 0]]
+    return first, place[runs[:, 1]] - first + 1, keys
 
 
 def drop_repeated_spans(docs: DataFrame, id_col: str = "doc_id", text: str = "text", least_words: int = SPAN_WORDS) -> DataFrame:
     """docs with n_sentences, n_removed and kept_text.
 
-    Every run of consecutive sentences that just reaches least_words words is hashed; of equal runs the first stays,
-    by id and place, and the sentences under any other go. Null and empty texts are one empty sentence; a text with
-    fewer words has no run. A null id comes first. Rows that repeat an id share its places: their runs are taken
+    Every sentence begins a run and ends one: the shortest of two sentences at least that holds least_words words; a
+    text without such runs is one itself. All are hashed; of equal runs the first stays, by id and place, and the
+    sentences under any other go. Null and empty texts are one empty sentence and have no run. A null id comes first. Rows that repeat an id share its places: their runs are taken
     together, and a first place stands for each of them. Columns with the added names are replaced. Runs meet by
     128-bit hash, counted before the shuffle; the table of repeated ones is written, so that Spark can split the join
     for a passage that very many documents share.
@@ -73,19 +83,21 @@ def drop_repeated_spans(docs: DataFrame, id_col: str = "doc_id", text: str = "te
     counted = runs.groupBy("h1", "h2").agg(F.min(F.struct("doc", "first")).alias("place"), F.count("*").alias("n"))
     repeated = scratch.table("repeated", counted.where("n > 1").select("h1", "h2", "place"))
     later = runs.join(repeated, ["h1", "h2"]).where(F.struct("doc", "first") != F.col("place"))
-    per_doc = later.groupBy("doc").agg(F.collect_set(F.struct("first", "size")).alias("_runs")).withColumnRenamed("doc", "_doc")
-    joined = docs.join(scratch.table("later", per_doc), F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)) == F.col("_doc"), "left").drop("_doc")
+    of, found_runs = unused("_doc", docs), unused("_runs", docs)
+    per_doc = scratch.table("later", later.groupBy("doc").agg(F.collect_set(F.struct("first", "size")).alias(found_runs)).withColumnRenamed("doc", of))
+    scratch.drop("repeated")
+    joined = docs.join(per_doc, F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)) == F.col(of), "left").drop(of)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, text, SLICE_BYTES):
             total, removed, kept = [], [], []
-            for x, found in zip(byte_texts(batch.column(text)), batch.column("_runs").to_pylist(), strict=True):
+            for x, found in zip(byte_texts(batch.column(text)), batch.column(found_runs).to_pylist(), strict=True):
                 parts = sentences(x)
                 gone = {k for r in found or () for k in range(r["first"], r["first"] + r["size"])}
                 total.append(len(parts))
                 removed.append(sum(k < len(parts) for k in gone))
                 kept.append(b"".join([y for k, y in enumerate(parts) if k not in gone]) if gone else x)
-            names = [c for c in batch.schema.names if c != "_runs"]
+            names = [c for c in batch.schema.names if c != found_runs]
             arrays = [batch.column(batch.schema.names.index(c)) for c in names]
             yield pa.RecordBatch.from_arrays([*arrays, pa.array(total, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.binary()).cast(pa.string())], [*names, *ADDED])
 
@@ -104,13 +116,17 @@ WITH s AS (
   FROM (SELECT doc_id, string_split(regexp_replace(coalesce(text, ''), '([.!?]+[\x09-\x0D ]+|\n[\x09-\x0D ]*)', '\1' || chr(1), 'g'), chr(1)) AS ps FROM documents)),
 w AS (
   SELECT *, list_filter(regexp_split_to_array(translate(part, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x09-\x0D ]+'), lambda x: x <> '') AS ws FROM s),
-c AS (SELECT doc_id, k, part, array_to_string(ws, ' ') AS words, len(ws) AS n, sum(len(ws)) OVER (PARTITION BY doc_id ORDER BY k) AS upto FROM w),
+c AS (SELECT doc_id, k, part, array_to_string(ws, ' ') AS words, len(ws) AS n FROM w),
+v AS (SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY k) AS r, sum(n) OVER (PARTITION BY doc_id ORDER BY k) AS upto, count(*) OVER (PARTITION BY doc_id) AS m FROM c WHERE n > 0),
 ends AS (
-  SELECT a.doc_id, a.k, min(b.k) AS last FROM c a JOIN c b ON a.doc_id = b.doc_id AND b.k >= a.k AND b.upto - (a.upto - a.n) >= 24
-  WHERE a.n > 0 GROUP BY a.doc_id, a.k),
+  SELECT a.doc_id, a.r, greatest(min(b.r), a.r + 1) AS last FROM v a JOIN v b ON a.doc_id = b.doc_id AND b.r >= a.r AND b.upto - (a.upto - a.n) >= 24
+  GROUP BY a.doc_id, a.r, a.m HAVING greatest(min(b.r), a.r + 1) <= a.m
+  UNION SELECT b.doc_id, least(max(a.r), b.r - 1), b.r FROM v a JOIN v b ON a.doc_id = b.doc_id AND a.r <= b.r AND b.upto - (a.upto - a.n) >= 24
+  GROUP BY b.doc_id, b.r HAVING least(max(a.r), b.r - 1) >= 1),
+every AS (SELECT * FROM ends UNION ALL SELECT DISTINCT doc_id, 1, m FROM v WHERE doc_id NOT IN (SELECT doc_id FROM ends)),
 runs AS (
-  SELECT e.doc_id, e.k, e.last, string_agg(c.words, ' ' ORDER BY c.k) AS key
-  FROM ends e JOIN c ON c.doc_id = e.doc_id AND c.k BETWEEN e.k AND e.last WHERE c.n > 0 GROUP BY e.doc_id, e.k, e.last),
+  SELECT e.doc_id, min(v.k) AS k, max(v.k) AS last, string_agg(v.words, ' ' ORDER BY v.r) AS key
+  FROM every e JOIN v ON v.doc_id = e.doc_id AND v.r BETWEEN e.r AND e.last GROUP BY e.doc_id, e.r, e.last),
 later AS (
   SELECT doc_id, unnest(range(k, last + 1)) AS k
   FROM (SELECT *, row_number() OVER (PARTITION BY key ORDER BY doc_id, k) AS nth FROM runs) WHERE nth > 1),
