@@ -1,25 +1,26 @@
 """Benchmark decontamination with an FM-index for each training shard.
 
-A shard is a bounded slice of documents. Its words, as ids of the benchmark's vocabulary, become a suffix array, a
-Burrows-Wheeler transform in a wavelet matrix and sampled suffix positions; test windows are searched backwards, all at
-once, and their occurrences located from the samples. Words outside the benchmark's vocabulary, and word pairs that no
-item holds, can be in no window: only the runs between them are indexed, which loses no occurrence.
+A shard is a bounded slice of documents. All its words, numbered by the shard's own vocabulary, become a suffix array, a
+Burrows-Wheeler transform in a wavelet matrix and sampled suffix positions. Windows of any benchmark are searched
+backwards, all at once, and their occurrences located from the samples. An index can be written and searched again.
 """
 
 from __future__ import annotations
 
 import hashlib
+import io
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from schemaloom.llm.shared import byte_texts, documents, slices
+from schemaloom.llm.shared import byte_texts, documents, filesystem, slices, write_whole
 
 WINDOW = 13
-SHARD_BYTES = 8 << 20
+SHARD_BYTES = 4 << 20
 #: Bytes of benchmark text that are searched for, and broadcast, at once; a larger benchmark is taken in blocks.
 BLOCK_BYTES = 32 << 20
 #: Word characters are 0-9, A-Z, a-z and every byte of a non-ASCII character; A-Z are lowered, the rest separates.
@@ -32,22 +33,31 @@ def words_of(text: bytes) -> list[bytes]:
 
 
 def suffix_order(seq: np.ndarray) -> np.ndarray:
-    """Suffix array by doubling; a suffix that ends first sorts first."""
+    """Suffix array by doubling; a suffix that ends first sorts first. A rank is the first row of the suffixes that are
+    still alike, and only those are sorted again."""
     n = len(seq)
-    rank = np.unique(seq, return_inverse=True)[1].astype(np.int64)
+    order = np.argsort(seq, kind="stable")
+    rank = np.empty(n, np.int64)
+
+    def settle(rows: np.ndarray, some: np.ndarray, edge: np.ndarray) -> np.ndarray:
+        """Ranks of suffixes in their rows, where an edge starts a new group; rows of groups with more than one."""
+        head = np.flatnonzero(edge)
+        size = np.diff(np.append(head, len(some)))
+        rank[some] = np.repeat(rows[head], size)
+        return rows[np.repeat(size > 1, size)]
+
+    open_ = settle(np.arange(n), order, np.concatenate(([True], np.diff(seq[order]) != 0))[:n])
     step = 1
-    while True:
-        after = np.zeros(n, np.int64)
-        if step < n:
-            after[: n - step] = rank[step:] + 1
-        key = rank * (n + 1) + after
-        order = np.argsort(key, kind="stable")
-        ranked = np.concatenate(([0], np.cumsum(np.diff(key[order]) != 0)))
-        rank = np.empty(n, np.int64)
-        rank[order] = ranked
-        if n == 0 or ranked[-1] == n - 1:
-            return order
+    while len(open_):
+        some = order[open_]
+        after = np.where(some + step < n, rank[np.minimum(some + step, n - 1)] + 1, 0)
+        key = rank[some] * (n + 1) + after
+        by = np.argsort(key, kind="stable")
+        some, key = some[by], key[by]
+        order[open_] = some
+        open_ = settle(open_, some, np.concatenate(([True], np.diff(key) != 0)))
         step *= 2
+    return order
 
 
 class WaveletMatrix:
@@ -84,6 +94,16 @@ class FMIndex:
         kept = order % sample == 0
         self.kept_before, self.kept, self.samples = np.concatenate(([0], np.cumsum(kept))), kept, order[kept]
 
+    @classmethod
+    def of(cls, bwt: np.ndarray, kept: np.ndarray, samples: np.ndarray, alphabet: int) -> "FMIndex":
+        """From a transform and its samples, as they were written."""
+        out = cls.__new__(cls)
+        out.bwt, out.kept, out.samples = bwt, kept, samples
+        out.tree = WaveletMatrix(bwt, max(1, int(alphabet).bit_length()))
+        out.before = np.concatenate(([0], np.cumsum(np.bincount(bwt, minlength=alphabet + 1))))
+        out.kept_before = np.concatenate(([0], np.cumsum(kept)))
+        return out
+
     def search(self, patterns: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Suffix-array intervals [low, high) of equally long patterns, one a row, by backward steps."""
         low, high = np.zeros(len(patterns), np.int64), np.full(len(patterns), len(self.bwt), np.int64)
@@ -116,108 +136,163 @@ class FMIndex:
 
 
 class Phrases:
-    """The distinct windows of a block of benchmark items, grouped by length, as vocabulary ids from 1."""
+    """The distinct windows of a block of benchmark items, grouped by length, as vocabulary ids."""
 
     def __init__(self, items: list[tuple[str, bytes]], window: int = WINDOW):
-        self.vocabulary: dict[bytes, int] = {}
+        vocabulary: dict[bytes, int] = {}
         found: dict[tuple[int, ...], set[str]] = {}
-        pairs = set()
         for item_id, text in items:
-            ids = [self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words_of(text)]
-            pairs.update(zip(ids, ids[1:]))  # noqa: B905
+            ids = [vocabulary.setdefault(w, len(vocabulary)) for w in words_of(text)]
             for k in range(max(1, len(ids) - window + 1) if ids else 0):
                 found.setdefault(tuple(ids[k : k + window]), set()).add(item_id)
-        self.alphabet = len(self.vocabulary) + 1
-        self.pairs = np.array(sorted(a * self.alphabet + b for a, b in pairs), np.int64)
+        self.words = list(vocabulary)
         self.by_length = {}
         for n in sorted({len(x) for x in found}):
             some = [x for x in found if len(x) == n]
             self.by_length[n] = (np.array(some, np.int64), [sorted(found[x]) for x in some])
-        self.shortest = min(self.by_length, default=0)
-
-    def runs(self, ids: np.ndarray) -> np.ndarray:
-        """Positions in runs of at least the shortest window whose neighbours all form a benchmark pair."""
-        known = ids > 0
-        joined = np.zeros(len(ids), bool)  # with the word before
-        if len(self.pairs) and len(ids) > 1:
-            both = np.flatnonzero(known[1:] & known[:-1])
-            key = ids[both] * np.int64(self.alphabet) + ids[both + 1]
-            at = np.minimum(np.searchsorted(self.pairs, key), len(self.pairs) - 1)
-            joined[both[self.pairs[at] == key] + 1] = True
-        starts = np.flatnonzero(known & ~joined)
-        ends = np.flatnonzero(known & ~np.concatenate((joined[1:], [False]))) + 1
-        keep = ends - starts >= self.shortest
-        mark = np.zeros(len(ids) + 1, np.int64)
-        np.add.at(mark, starts[keep], 1)
-        np.add.at(mark, ends[keep], -1)
-        return np.flatnonzero(np.cumsum(mark[:-1]) > 0), joined
 
 
-def search_shard(texts: list[bytes], phrases: Phrases) -> list[tuple[int, int, list, list]]:
-    """For each text: words, hit words, merged spans of hit words [first, after), sorted items found."""
-    get = phrases.vocabulary.get
-    arrays, counts = [], np.zeros(len(texts), np.int64)
-    for k, text in enumerate(texts):
-        words = words_of(text)
-        counts[k] = len(words)
-        arrays.append(np.array([get(w, 0) for w in words] + [0], np.int64))
-    results = [(int(n), 0, [], []) for n in counts]
-    if not texts or not phrases.by_length:
-        return results
-    ids = np.concatenate(arrays)
-    offsets = np.concatenate(([0], np.cumsum(counts + 1)))
-    places, joined = phrases.runs(ids)
-    if not len(places):
+class ShardIndex:
+    """The FM-index of a shard's texts: their words one after another, with a separator behind each text."""
+
+    def __init__(self, texts: list[bytes]):
+        clean = pa.array([x.translate(TABLE) for x in texts], pa.binary()).cast(pa.string())
+        cut = pc.split_pattern(clean, " ")
+        parts = cut.flatten().dictionary_encode()
+        names, which = parts.dictionary.to_pylist(), parts.indices.to_numpy().astype(np.int64)
+        empty = names.index("") if "" in names else -1
+        there = np.concatenate(([0], np.cumsum(which != empty)))
+        self.counts = np.diff(there[np.asarray(cut.offsets) - cut.offsets[0].as_py()])
+        # ids from 1; 0 separates texts
+        number = np.arange(1, len(names) + 1)
+        if empty >= 0:
+            number[empty + 1 :] -= 1
+        words = number[which[which != empty]] if len(which) else which
+        self.offsets = np.concatenate(([0], np.cumsum(self.counts + 1)))
+        seq = np.zeros(int(self.offsets[-1]), np.int64)
+        inside = np.ones(len(seq), bool)
+        inside[self.offsets[1:] - 1] = False
+        seq[inside] = words
+        self.names = [x.encode() for k, x in enumerate(names) if k != empty]
+        self.index = FMIndex(seq, len(self.names) + 1)
+        self.vocabulary = {x: k for k, x in enumerate(self.names, 1)}
+
+    def to_bytes(self) -> bytes:
+        """A compressed archive of its arrays; the wavelet matrix is made again from the transform."""
+        out = io.BytesIO()
+        index = self.index
+        np.savez_compressed(out, counts=self.counts, names=np.frombuffer(b"\n".join(self.names), np.uint8), bwt=index.bwt.astype(np.uint32), kept=np.packbits(index.kept), samples=index.samples.astype(np.uint32))
+        return out.getvalue()
+
+    @classmethod
+    def from_bytes(cls, data: bytes) -> "ShardIndex":
+        held = np.load(io.BytesIO(data))
+        out = cls.__new__(cls)
+        out.counts = held["counts"]
+        out.offsets = np.concatenate(([0], np.cumsum(out.counts + 1)))
+        joined = held["names"].tobytes()
+        out.names = joined.split(b"\n") if joined else []
+        out.vocabulary = {x: k for k, x in enumerate(out.names, 1)}
+        bwt = held["bwt"].astype(np.int64)
+        out.index = FMIndex.of(bwt, np.unpackbits(held["kept"], count=len(bwt)).astype(bool), held["samples"].astype(np.int64), len(out.names) + 1)
+        return out
+
+    def find(self, phrases: Phrases) -> list[tuple[int, int, list, list]]:
+        """For each text: words, hit words, merged spans of hit words [first, after), sorted items found."""
+        results = [(int(n), 0, [], []) for n in self.counts]
+        here = np.array([self.vocabulary.get(w, 0) for w in phrases.words], np.int64)
+        covered = np.zeros(int(self.offsets[-1]) + 1, np.int64)
+        items: dict[int, set[str]] = {}
+        for length, (patterns, owners) in phrases.by_length.items():
+            mine = here[patterns]
+            known = np.flatnonzero((mine > 0).all(axis=1))  # a window with a word that the shard lacks isn't there
+            if not len(known):
+                continue
+            low, high = self.index.search(mine[known])
+            hit = np.flatnonzero(high > low)
+            if not len(hit):
+                continue
+            sizes = (high - low)[hit]
+            rows = np.arange(sizes.sum()) - np.repeat(np.cumsum(sizes) - sizes, sizes) + np.repeat(low[hit], sizes)
+            first = self.index.locate(rows)
+            np.add.at(covered, first, 1)
+            np.add.at(covered, first + length, -1)
+            docs = np.searchsorted(self.offsets, first, "right") - 1
+            for doc, k in set(zip(docs.tolist(), np.repeat(known[hit], sizes).tolist(), strict=True)):
+                items.setdefault(doc, set()).update(owners[k])
+        inside = np.cumsum(covered)[:-1] > 0
+        edges = np.diff(np.concatenate(([0], inside.astype(np.int8), [0])))
+        firsts, afters = np.flatnonzero(edges == 1), np.flatnonzero(edges == -1)
+        owner = np.searchsorted(self.offsets, firsts, "right") - 1
+        for doc in np.unique(owner).tolist():
+            mine = owner == doc
+            spans = [(int(a - self.offsets[doc]), int(b - self.offsets[doc])) for a, b in zip(firsts[mine], afters[mine], strict=True)]
+            results[doc] = (int(self.counts[doc]), sum(b - a for a, b in spans), spans, sorted(items.get(doc, ())))
         return results
-    # runs follow one another with a separator between
-    gap = np.concatenate(([False], (np.diff(places) > 1) | ~joined[places[1:]]))
-    to = np.arange(len(places)) + np.cumsum(gap)
-    seq = np.zeros(int(to[-1]) + 1, np.int64)
-    back = np.zeros(len(seq), np.int64)
-    seq[to], back[to] = ids[places], places
-    index = FMIndex(seq, phrases.alphabet)
-    covered = np.zeros(len(ids) + 1, np.int64)
-    items: dict[int, set[str]] = {}
-    for length, (patterns, owners) in phrases.by_length.items():
-        low, high = index.search(patterns)
-        hit = np.flatnonzero(high > low)
-        if not len(hit):
-            continue
-        sizes = (high - low)[hit]
-        which = np.repeat(hit, sizes)
-        rows = np.arange(sizes.sum()) - np.repeat(np.cumsum(sizes) - sizes, sizes) + np.repeat(low[hit], sizes)
-        first = back[index.locate(rows)]
-        np.add.at(covered, first, 1)
-        np.add.at(covered, first + length, -1)
-        docs = np.searchsorted(offsets, first, "right") - 1
-        for doc, k in set(zip(docs.tolist(), which.tolist())):  # noqa: B905
-            items.setdefault(doc, set()).update(owners[k])
-    inside = np.cumsum(covered)[:-1] > 0
-    edges = np.diff(np.concatenate(([0], inside.astype(np.int8), [0])))
-    firsts, afters = np.flatnonzero(edges == 1), np.flatnonzero(edges == -1)
-    owner = np.searchsorted(offsets, firsts, "right") - 1
-    for doc in np.unique(owner).tolist():
-        mine = owner == doc
-        spans = [(int(a - offsets[doc]), int(b - offsets[doc])) for a, b in zip(firsts[mine], afters[mine], strict=True)]
-        results[doc] = (int(counts[doc]), sum(b - a for a, b in spans), spans, sorted(items.get(doc, ())))
-    return results
+
+
+def search_shard(texts: list[bytes], phrases: Phrases) -> list[tuple[int, int, list, list]]:
+    return ShardIndex(texts).find(phrases) if texts else []
+
+
+def write_index(docs: DataFrame, folder: str, id_col: str = "doc_id", text: str = "text") -> DataFrame:
+    """Writes an index file for each shard of the documents and gives the manifest: file, docs (ids in the index's order).
+    The file's name is its content's hash, so that a task that runs again writes the same one."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fs, root = filesystem(folder)
+        for batch in slices(batches, "text", SHARD_BYTES):
+            data = ShardIndex(byte_texts(batch.column("text"))).to_bytes()
+            name = f"{hashlib.sha256(data + repr(batch.column('id').to_pylist()).encode()).hexdigest()[:32]}.fm"
+            write_whole(fs, f"{root}/{name}", [data])
+            yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([batch.column("id").to_pylist()], pa.list_(pa.int64()))], ["file", "docs"])
+
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text).alias("text")).mapInArrow(run, "file string, docs array<long>")
+
+
+def search_index(manifest: DataFrame, folder: str, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
+    """(doc_id, n_words, n_hit, spans, items) of written indexes: texts are not read again. The benchmark is one block."""
+    phrases = manifest.sparkSession.sparkContext.broadcast(Phrases(items_of(benchmark), window))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fs, root = filesystem(folder)
+        for batch in batches:
+            for row in batch.to_pylist():
+                with fs.open_input_stream(f"{root}/{row['file']}", compression=None) as source:
+                    found = ShardIndex.from_bytes(source.read()).find(phrases.value)
+                yield pa.RecordBatch.from_arrays([pa.array(row["docs"], pa.int64()), *found_arrays(found)], ["doc_id", "n_words", "n_hit", "spans", "items"])
+
+    return manifest.repartitionByRange(max(1, manifest.count()), "file").mapInArrow(run, f"doc_id long, {SCHEMA}")
+
+
+def items_of(benchmark: DataFrame) -> list[tuple[str, bytes]]:
+    """A block of items; a null id is an empty one."""
+    small = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("i"), F.coalesce(F.col("text"), F.lit("")).alias("t"))
+    return [(r.i, r.t.encode()) for r in small.toLocalIterator()]
+
+
+def found_arrays(found: list[tuple[int, int, list, list]]) -> list[pa.Array]:
+    kind = pa.list_(pa.struct([("first", pa.int64()), ("after", pa.int64())]))
+    spans = [[{"first": a, "after": b} for a, b in x[2]] for x in found]
+    return [pa.array([x[0] for x in found], pa.int64()), pa.array([x[1] for x in found], pa.int64()), pa.array(spans, kind), pa.array([x[3] for x in found], pa.list_(pa.string()))]
 
 
 def find_benchmark(docs: DataFrame, benchmark: DataFrame, text: str = "text", window: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """docs with n_words, n_hit, spans (merged removal spans, in words) and items (ids found, sorted as strings).
 
-    Null texts and texts without words have no words; items without words are never found; item texts may repeat. A
+    Null texts and texts without words have no words; items without words are never found; item texts may repeat; a null
+    item id is an empty one. A
     benchmark of more than block_bytes is searched for block by block, each broadcast on its own. Columns of docs that
     bear one of the four names are replaced. No shuffle unless there are several blocks.
     """
-    small = benchmark.select(F.col("item_id").cast("string").alias("i"), F.coalesce(F.col("text"), F.lit("")).alias("t")).where("i is not null")
-    total = small.agg(F.sum(F.octet_length("t") + F.octet_length("i"))).first()[0] or 0
+    key = F.coalesce(F.col("item_id").cast("string"), F.lit(""))
+    total = benchmark.agg(F.sum(F.octet_length(F.coalesce("text", F.lit(""))) + F.octet_length(key))).first()[0] or 0
     blocks = max(1, -(-total // block_bytes))
     docs = docs.drop("n_words", "n_hit", "spans", "items")
     spark, out = docs.sparkSession, None
     for k in range(blocks):
-        mine = small if blocks == 1 else small.where(F.pmod(F.xxhash64("i"), F.lit(blocks)) == k)
-        phrases = spark.sparkContext.broadcast(Phrases([(r.i, r.t.encode()) for r in mine.collect()], window))
+        mine = benchmark if blocks == 1 else benchmark.where(F.pmod(F.xxhash64(key), F.lit(blocks)) == k)
+        phrases = spark.sparkContext.broadcast(Phrases(items_of(mine), window))
         source = docs if out is None else out
 
         def scan(batches: Iterator[pa.RecordBatch], phrases=phrases) -> Iterator[pa.RecordBatch]:
@@ -228,9 +303,7 @@ def find_benchmark(docs: DataFrame, benchmark: DataFrame, text: str = "text", wi
                 if "spans" in batch.schema.names:
                     before = zip(batch.column("spans").to_pylist(), batch.column("items").to_pylist(), strict=True)
                     found = [merged(new, *old) for new, old in zip(found, before, strict=True)]
-                spans = [[{"first": a, "after": b} for a, b in x[2]] for x in found]
-                kind = pa.list_(pa.struct([("first", pa.int64()), ("after", pa.int64())]))
-                arrays += [pa.array([x[0] for x in found], pa.int64()), pa.array([x[1] for x in found], pa.int64()), pa.array(spans, kind), pa.array([x[3] for x in found], pa.list_(pa.string()))]
+                arrays += found_arrays(found)
                 yield pa.RecordBatch.from_arrays(arrays, [*names, "n_words", "n_hit", "spans", "items"])
 
         fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
