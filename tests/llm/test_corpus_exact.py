@@ -10,7 +10,7 @@ import numpy as np
 import public_tokenizers
 import pytest
 import xxhash
-from schemaloom.llm import bpe, lines, planes, quality, simhash, sketch, suffixes
+from schemaloom.llm import bpe, fmindex, lines, planes, quality, simhash, sketch, suffixes
 from schemaloom.llm.shared import documents
 from tokenizers import Tokenizer
 
@@ -290,3 +290,132 @@ def test_pipeline_against_brute_force(spark, texts, tmp_path):
     library = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
     want = {(k, len(e.ids), sha(" ".join(map(str, e.ids)))) for k, x in clean.items() for e in [library.encode(x, add_special_tokens=False)]}
     assert {tuple(r)[:3] for r in corpus_pipeline.run(spark, SMALL).collect()} == want
+
+
+def naive_merge(merges, text):
+    rank, s = {p: k for k, p in enumerate(merges)}, list(text)
+    while found := [rank[p] for p in zip(s, s[1:]) if p in rank]:  # noqa: B905
+        first, out, k = min(found), [], 0
+        while k < len(s):
+            if k + 1 < len(s) and rank.get((s[k], s[k + 1])) == first:
+                out.append(s[k] + s[k + 1])
+                k += 2
+            else:
+                out.append(s[k])
+                k += 1
+        s = out
+    return s
+
+
+def random_lists(n):
+    rng = random.Random(12)
+    for _ in range(n):
+        letters = "abcd"[: rng.randint(1, 4)]
+        tokens, merges = list(letters), []
+        for _ in range(rng.randint(1, 9)):
+            a, b = rng.choice(tokens), rng.choice(tokens)
+            if a + b not in tokens:
+                merges.append((a, b))
+                tokens.append(a + b)
+        yield letters, tokens, merges, rng
+
+
+def test_lookahead_bounds_what_is_held_and_other_lists_are_refused():
+    kept = 0
+    for letters, tokens, merges, rng in random_lists(600):
+        merge_list = bpe.MergeList({t: k for k, t in enumerate(tokens)}, merges, "")
+        proper = all(naive_merge(merges, t) == [t] for t in tokens)
+        if not proper:
+            with pytest.raises(ValueError):
+                merge_list.check()
+            continue
+        merge_list.check()
+        transducer, text, out, held = bpe.Transducer(merge_list), "".join(rng.choice(letters) for _ in range(300)), [], 0
+        for x in text:
+            out += transducer.feed(x)
+            held = max(held, len(transducer.last))
+        out += transducer.finish()
+        assert [merge_list.names[k] for k in out] == naive_merge(merges, text) and held <= 4 * merge_list.reach + merge_list.lookahead
+        kept += 1
+    assert kept > 200
+
+
+def test_perfect_hash_keeps_lines_whose_hashes_share_halves():
+    first = np.array([7, 7, 9], np.uint64)
+    second, counts, last = np.array([1, 2, 3], np.uint64), np.array([3, 5, 2]), np.array([10, 20, 30])
+    shard = lines.Shard(*lines.Shard.pack(first, second, counts, last))
+    ask = lambda a, b, doc: bool(shard.others_hold(np.array([a], np.uint64), np.array([b], np.uint64), np.array([doc]), 3)[0])
+    assert ask(7, 1, 1) and ask(7, 2, 1) and not ask(7, 1, 10) and not ask(7, 2, 20) and not ask(9, 3, 1) and not ask(7, 3, 1)
+
+
+@pytest.mark.parametrize("length", [32, 33, 36, 37, 64, 128])
+def test_suffixes_of_other_lengths(spark, length):
+    docs = repeated_docs(length)
+    df = spark.createDataFrame(list(docs.items()), "doc_id long, text string").repartition(2)
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, sha(bytes(r.kept))) for r in suffixes.cut_repeats(df, length=length).collect()}
+    assert got == removed(docs, length)
+
+
+def test_suffix_arrays_sort_suffixes():
+    rng = np.random.default_rng(13)
+    for n in [*range(8), 40, 90]:
+        seq = rng.integers(0, 3, n)
+        assert fmindex.suffix_order(seq).tolist() == sorted(range(n), key=lambda k: seq[k:].tolist())
+
+
+def test_written_indexes_find_what_the_texts_hold(spark, tmp_path):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "text")
+    benchmark = spark.read.parquet(f"{SMALL}/benchmark.parquet")
+    folder = f"file://{tmp_path}/index"
+    manifest = fmindex.write_index(docs, folder)
+    manifest = spark.createDataFrame(manifest.collect(), manifest.schema)
+    norm = lambda df: {(r.doc_id, r.n_words, r.n_hit, tuple(map(tuple, r.spans)), tuple(r["items"])) for r in df.collect()}
+    found = norm(fmindex.search_index(manifest, folder, benchmark))
+    assert found == norm(fmindex.find_benchmark(docs, benchmark)) and any(x[2] for x in found)
+    # another benchmark, of passages of the documents themselves
+    other = docs.where("doc_id % 7 = 0").selectExpr("doc_id AS item_id", "substr(text, 1, 200) AS text")
+    assert norm(fmindex.search_index(manifest, folder, other)) == norm(fmindex.find_benchmark(docs, other))
+
+
+def test_hot_buckets_are_cut_into_parts(spark):
+    rng = np.random.default_rng(14)
+    base = int(rng.integers(0, 1 << 62))
+    values = np.unique([base ^ sum(1 << int(b) for b in rng.choice(40, rng.integers(1, 8), replace=False)) for _ in range(300)])
+    nodes = spark.createDataFrame([(int(v), k) for k, v in enumerate(values)], "fp long, node long")
+    want = components(values.astype(np.int64).view(np.uint64), 4)
+    labels = simhash.Labels(len(values))
+    for r in simhash.link(nodes, 4, part_rows=16).collect():
+        labels.join(np.array([r.a]), np.array([r.b]))
+    assert (labels.of == want).all()
+
+
+def test_near_copies_recall_at_the_least_similarity(spark):
+    """Pairs of a similarity of just 0.8: nearly all must be found, and nothing below."""
+    rng = random.Random(15)
+    rows, pairs = [], []
+    for k in range(400):
+        n = rng.randint(30, 200)
+        text = [f"w{rng.randrange(10**6)}" for _ in range(n)]
+        cut = max(1, round(0.2 * (n - 4)))
+        rows.append((2 * k, " ".join(text)))
+        rows.append((2 * k + 1, " ".join(text[cut:])))  # shares n - 4 - cut of n - 4 shingles
+        pairs.append(5 * (n - 4 - cut) >= 4 * (n - 4))
+    found = simhash.near_copies(spark.createDataFrame(rows, "doc_id long, text string"))
+    got = {r.node for r in found.collect() if r.node % 2}
+    assert got <= {2 * k + 1 for k, near in enumerate(pairs) if near}
+    assert len(got) >= 0.99 * sum(pairs) and sum(pairs) > 150
+
+
+def test_votes_prefer_the_first_of_equal_neighbours():
+    rates = np.tile(np.random.default_rng(16).poisson(2.0, quality.TERMS).astype(float), (12, 1))
+    model = quality.Model(rates, np.array([1, 1, 1, 1, 1, *[0] * 7]), neighbours=5)
+    assert model.scores(rates[:1])[0] > 0.999
+
+
+def test_sentence_runs_cover_exact_copies_whole(spark):
+    from schemaloom.llm import spans
+
+    texts = ["Short. One more long sentence that has rather many words in it so that it alone would be enough for a run of words here. End.", "Tiny.", "", None, "two words", "A b c. D e f."]
+    rows = [(k, x) for k, x in enumerate(texts * 2)]
+    kept = {r.doc_id: r.kept_text for r in spans.drop_repeated_spans(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all(kept[k] == (x or "") for k, x in enumerate(texts)) and all(kept[k + len(texts)] == "" for k in range(len(texts)))
