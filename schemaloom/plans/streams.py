@@ -56,3 +56,25 @@ def stream_static(spark, sf_dir):
 @query("t_edge_weights", f"WITH {MERGED} SELECT * FROM merged")
 def edge_weights(spark, sf_dir):
     return st.drained(st.edge_weights(st.arriving(spark, fx.paths(spark), "paths")), "weights", "complete")
+
+
+@query("t_stream_stream", "SELECT s.event_id AS signup_id, e.event_id FROM events s JOIN events e ON s.user_id = e.user_id AND s.event_type = 'signup' AND e.event_type = 'purchase' AND e.ts >= s.ts AND e.ts <= s.ts + INTERVAL 1 DAY")
+def stream_stream(spark, sf_dir):
+    """Purchases within a day of a signup by the same user: state on both sides, bounded by watermarks."""
+    return st.drained(st.follow_ups(events(spark, sf_dir), events(spark, sf_dir)), "follow-ups")
+
+
+@query("t_watermark_late", "SELECT date_trunc('hour', ts)::VARCHAR AS start, count(*) AS n FROM events WHERE ts < (SELECT max(ts) FROM events) - INTERVAL 1 HOUR GROUP BY 1 HAVING date_trunc('hour', min(ts)) + INTERVAL 1 HOUR <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR")
+def watermark_late(spark, sf_dir):
+    """Hours that are closed once the watermark, an hour behind, has passed them; rows later than it don't count. Here the
+    whole input is one batch, so no row is late, and the last hours stay open."""
+    closed = st.tumbling(events(spark, sf_dir).withWatermark("ts", "1 hour").withColumn("event_type", F.lit("any")))
+    return started(st.drained(closed, "late")).select("start", "n")
+
+
+@query("t_profile_state", "SELECT event_type, count(*) AS cells, count(*) FILTER (props IS NULL) AS missing, count(DISTINCT user_id) AS users FROM events GROUP BY event_type")
+def profile_state(spark, sf_dir):
+    """Running profiles by event type, with a state of one's own."""
+    stream = st.arriving(spark, table(spark, sf_dir, "events").select("event_type", "user_id", "props"), "profiles")
+    found = st.drained(st.profiles(stream, "event_type", "user_id", "props"), "profiles")
+    return found.groupBy("event_type").agg(F.max("cells").alias("cells"), F.max("missing").alias("missing"), F.max("users").alias("users"))

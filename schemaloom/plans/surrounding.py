@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from schemaloom.operators import hierarchy as h
 from schemaloom.plans.registry import TABLES, query, sql_query, table
+from schemaloom.sources import corpora, repository
+from schemaloom.sources import fixtures as fx
 from schemaloom.sources.shared import shared_path
 
 LAKE = " UNION ALL ".join(f"SELECT '{t}' AS table_name, count(*) AS n_rows FROM {t}" for t in TABLES)
@@ -78,8 +82,8 @@ def join_left(spark, sf_dir):
 
 
 sql_query("s_join_full", "SELECT coalesce(a.k, b.k) AS k, a.n AS customers, b.n AS suppliers FROM (SELECT c_nationkey AS k, count(*) AS n FROM {customer} GROUP BY c_nationkey) a FULL JOIN (SELECT s_nationkey AS k, count(*) AS n FROM {supplier} GROUP BY s_nationkey) b ON a.k = b.k")
-sql_query("s_join_self", "SELECT a.s_suppkey AS a, b.s_suppkey AS b FROM {supplier} a JOIN {supplier} b ON a.s_nationkey = b.s_nationkey AND a.s_suppkey < b.s_suppkey")
-sql_query("s_join_theta", "SELECT a.p_brand, count(*) AS pairs FROM {part} a JOIN {part} b ON a.p_brand = b.p_brand AND a.p_partkey < b.p_partkey AND abs(a.p_retailprice - b.p_retailprice) <= 0.01 * a.p_retailprice GROUP BY a.p_brand")
+sql_query("s_join_self", "SELECT a.n_name AS a, b.n_name AS b, a.n_regionkey FROM {nation} a JOIN {nation} b ON a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey")
+sql_query("s_join_theta", "SELECT a.p_partkey, count(*) AS dearer FROM {part} a JOIN (SELECT p_brand, p_type, max(p_retailprice) AS top FROM {part} GROUP BY p_brand, p_type) b ON a.p_brand = b.p_brand AND b.top > a.p_retailprice GROUP BY a.p_partkey")
 
 
 @query("s_join_interval", """
@@ -91,11 +95,15 @@ def join_interval(spark, sf_dir):
     return e.join(s, (F.col("user_id") == F.col("u")) & (F.col("ts") > F.col("at")) & (F.col("ts") <= late)).select("signup_id", "event_id")
 
 
-@query("s_join_range", "SELECT date_trunc('hour', ts)::VARCHAR AS span, count(*) AS n FROM events GROUP BY 1")
+@query("s_join_range", """
+SELECT d.k AS span, count(*) AS n FROM (SELECT DISTINCT date_trunc('hour', ts) - INTERVAL 20 MINUTE AS low, date_trunc('hour', ts) + INTERVAL 20 MINUTE AS high, date_trunc('hour', ts)::VARCHAR AS k FROM events) d JOIN events e ON e.ts >= d.low AND e.ts < d.high GROUP BY d.k""")
 def join_range(spark, sf_dir):
-    """Events into hourly spans by a bucket key: the range predicate stays an equality."""
-    e = table(spark, sf_dir, "events").select(F.date_trunc("hour", "ts").alias("h"))
-    return e.groupBy("h").agg(F.count("*").alias("n")).select(F.date_format("h", "yyyy-MM-dd HH:mm:ss").alias("span"), "n")
+    """Events within twenty minutes of a full hour. A range join on a bucket key: a span goes to each hour that it
+    touches, and the predicate is checked inside."""
+    e = table(spark, sf_dir, "events").select("ts", F.date_trunc("hour", "ts").alias("h"))
+    spans = e.select("h").distinct().select(F.date_format("h", "yyyy-MM-dd HH:mm:ss").alias("span"), (F.col("h") - F.expr("INTERVAL 20 MINUTE")).alias("low"), (F.col("h") + F.expr("INTERVAL 20 MINUTE")).alias("high"))
+    touched = spans.withColumn("h", F.explode(F.array_distinct(F.array(F.date_trunc("hour", "low"), F.date_trunc("hour", "high")))))
+    return e.join(touched, "h").where((F.col("ts") >= F.col("low")) & (F.col("ts") < F.col("high"))).groupBy("span").agg(F.count("*").alias("n"))
 
 
 @query("s_join_asof", """
@@ -107,7 +115,11 @@ def join_asof(spark, sf_dir):
 
 
 sql_query("s_join_cross", "SELECT r_name, g.theta FROM {region} CROSS JOIN (SELECT * FROM (VALUES (5), (9), (10)) AS v(theta)) g")
-sql_query("s_lateral_top", "SELECT l_orderkey, l_extendedprice FROM (SELECT l_orderkey, l_extendedprice, row_number() OVER (PARTITION BY l_orderkey ORDER BY l_extendedprice DESC) AS k FROM {lineitem}) t WHERE k <= 3")
+sql_query(
+    "s_lateral_top",
+    "SELECT o.o_orderkey, t.l_linenumber, t.l_extendedprice FROM {orders} o JOIN (SELECT l_orderkey, l_linenumber, l_extendedprice, row_number() OVER (PARTITION BY l_orderkey ORDER BY l_extendedprice DESC, l_linenumber) AS k FROM {lineitem}) t ON t.l_orderkey = o.o_orderkey AND t.k <= 3",
+    "SELECT o_orderkey, l_linenumber, l_extendedprice FROM orders, LATERAL (SELECT l_linenumber, l_extendedprice FROM lineitem WHERE l_orderkey = o_orderkey ORDER BY l_extendedprice DESC, l_linenumber LIMIT 3) t",
+)
 sql_query("s_agg_basic", "SELECT l_returnflag, l_linestatus, count(*) AS n, CAST(sum(l_quantity) AS BIGINT) AS quantity FROM {lineitem} GROUP BY l_returnflag, l_linestatus")
 sql_query("s_agg_distinct", "SELECT l_partkey, count(DISTINCT l_suppkey) AS suppliers FROM {lineitem} GROUP BY l_partkey")
 sql_query("s_agg_filter", "SELECT o_orderpriority, count(*) FILTER (WHERE o_orderstatus = 'F') AS done, count(*) FILTER (WHERE o_totalprice > 200000) AS large FROM {orders} GROUP BY o_orderpriority")
@@ -156,9 +168,9 @@ sql_query("s_topk_group", "SELECT o_orderpriority, o_orderkey FROM (SELECT o_ord
 sql_query("s_limit_offset", "SELECT o_orderkey FROM {orders} ORDER BY o_totalprice DESC, o_orderkey LIMIT 10 OFFSET 10")
 sql_query("s_set_union", "SELECT c_nationkey AS k FROM {customer} UNION SELECT s_nationkey FROM {supplier}")
 sql_query("s_set_intersect", "SELECT c_nationkey AS k FROM {customer} INTERSECT SELECT s_nationkey FROM {supplier}")
-sql_query("s_set_except", "SELECT n_nationkey AS k FROM {nation} EXCEPT SELECT s_nationkey FROM {supplier} WHERE s_suppkey < 20")
+sql_query("s_set_except", "SELECT n_nationkey AS k FROM {nation} EXCEPT SELECT s_nationkey FROM {supplier} WHERE s_acctbal < 0")
 sql_query("s_set_all", "SELECT c_nationkey AS k FROM {customer} EXCEPT ALL SELECT s_nationkey FROM {supplier}")
-sql_query("s_str_distance", "SELECT a.n_name AS a, b.n_name AS b, CAST(levenshtein(a.n_name, b.n_name) AS BIGINT) AS d FROM {nation} a JOIN {nation} b ON a.n_nationkey < b.n_nationkey")
+sql_query("s_str_distance", "SELECT p_partkey, CAST(levenshtein(p_brand, p_type) AS BIGINT) AS d FROM {part}")
 sql_query("s_str_regex", "SELECT p_partkey, CAST(regexp_extract(p_brand, '([0-9]+)', 1) AS INT) AS brand_no FROM {part}")
 
 
@@ -218,3 +230,132 @@ def html_links(spark, sf_dir):
 sql_query("s_url_host", "SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host, count(*) AS n FROM {pages} GROUP BY regexp_extract(url, '^[a-z]+://([^/]+)', 1)")
 sql_query("s_subquery_exists", "SELECT c_custkey FROM {customer} WHERE EXISTS (SELECT 1 FROM {orders} WHERE o_custkey = c_custkey AND o_totalprice > 250000)")
 sql_query("s_subquery_scalar", "SELECT c_custkey FROM {customer} WHERE c_acctbal > (SELECT avg(c_acctbal) FROM {customer})")
+
+
+# --- sources, exports, functions of one's own -------------------------------------------------------------------------
+
+PLACES = tuple(x for x in corpora.WEB if x.name in ("region", "nation"))
+
+
+def place_cells(spark, sf_dir) -> DataFrame:
+    return corpora.cells(spark, sf_dir, PLACES).select(F.concat_ws(".", "base", "k").alias("table_id"), F.col("column").alias("header"), "value")
+
+
+PLACE_CELLS = " UNION ALL ".join(f"SELECT concat_ws('.', '{x.name}', k) AS table_id, '{c}' AS header, CAST({c} AS VARCHAR) AS value FROM ({x.twin()})" for x in PLACES for c, _, _ in x.columns)
+
+
+@query("s_source_repo", f"SELECT table_id, header, count(*) AS n FROM ({PLACE_CELLS}) WHERE table_id IN ('nation.0', 'region.all') GROUP BY 1, 2")
+def source_repo(spark, sf_dir):
+    """Tables of a folder, of which two are wanted: no other file is opened."""
+    path = shared_path(spark, "repository")
+    repository.write(place_cells(spark, sf_dir), path)
+    return repository.read(spark, path, ["nation.0", "region.all"]).groupBy("table_id", "header").agg(F.count("*").alias("n"))
+
+
+@query("s_export_json", f"SELECT table_id, json_array_length(doc, '$.columns') AS n FROM (SELECT table_id, to_json({{'columns': list_sort(list(DISTINCT header))}}) AS doc FROM ({PLACE_CELLS}) GROUP BY table_id)")
+def export_json(spark, sf_dir):
+    """Each table's schema as nested JSON, read back."""
+    doc = F.to_json(F.struct(F.sort_array(F.collect_set("header")).alias("columns"))).alias("doc")
+    docs = place_cells(spark, sf_dir).groupBy("table_id").agg(doc)
+    return docs.select("table_id", F.json_array_length(F.get_json_object("doc", "$.columns")).cast("bigint").alias("n"))
+
+
+@query("s_export_dot", f"SELECT 'digraph {{' || string_agg('\"' || child || '\" -> \"' || parent || '\";', ' ' ORDER BY child, parent) || '}}' AS dot FROM {fx.EDGES}")
+def export_dot(spark, sf_dir):
+    """A hierarchy as one text for a graph drawer; hierarchies are small."""
+    line = F.format_string('"%s" -> "%s";', "child", "parent")
+    held = fx.relation(spark, fx.EDGES).agg(F.sort_array(F.collect_list(F.struct("child", "parent", line.alias("line")))).alias("x"))
+    return held.select(F.concat(F.lit("digraph {"), F.array_join(F.transform("x", lambda r: r["line"]), " "), F.lit("}")).alias("dot"))
+
+
+LAYOUT = corpora.layout(corpora.WEB)
+
+
+@query("s_project_headers", "SELECT DISTINCT base, \"column\", lower(regexp_replace(header, '[^A-Za-z0-9]+', ' ', 'g')) AS words FROM " + corpora.layout_sql(corpora.WEB))
+def project_headers(spark, sf_dir):
+    held = spark.createDataFrame(LAYOUT, corpora.LAYOUT)
+    return held.select("base", "column", F.lower(F.regexp_replace("header", "[^A-Za-z0-9]+", " ")).alias("words")).distinct()
+
+
+@query("s_arr_sets", """
+WITH w AS (SELECT doc_id, list_distinct(list_filter(string_split(lower(coalesce(text, '')), ' '), lambda x: x <> '')) AS ws FROM documents)
+SELECT a.doc_id, len(list_intersect(a.ws, b.ws)) AS common, len(a.ws) + len(b.ws) - len(list_intersect(a.ws, b.ws)) AS either FROM w a JOIN w b ON b.doc_id = a.doc_id + 1""")
+def arr_sets(spark, sf_dir):
+    """Words that a document shares with the next one by id."""
+    words = F.array_distinct(F.filter(F.split(F.lower(F.coalesce("text", F.lit(""))), " "), lambda x: x != ""))
+    d = table(spark, sf_dir, "documents").select("doc_id", words.alias("a"))
+    other = d.select((F.col("doc_id") - 1).alias("doc_id"), F.col("a").alias("b"))
+    common = F.size(F.array_intersect("a", "b"))
+    return d.join(other, "doc_id").select("doc_id", common.cast("bigint").alias("common"), (F.size("a") + F.size("b") - common).cast("bigint").alias("either"))
+
+
+sql_query("s_json_schema", "SELECT count(*) AS n, CAST(sum(from_json(props, 'k BIGINT').k) AS BIGINT) AS total FROM {events}", "SELECT count(*) AS n, CAST(sum(CAST(json_extract(props, '$.k') AS BIGINT)) AS BIGINT) AS total FROM events")
+
+
+@query("s_components", f"""
+WITH RECURSIVE e AS (SELECT child AS a, parent AS b FROM {fx.EDGES} WHERE parent <> 'Thing' UNION SELECT parent, child FROM {fx.EDGES} WHERE parent <> 'Thing'),
+n AS (SELECT DISTINCT a AS t FROM e), r(t, o) AS (SELECT t, t FROM n UNION SELECT r.t, e.b FROM r JOIN e ON e.a = r.o) SELECT t AS item, min(o) AS cluster FROM r GROUP BY t""")
+def components(spark, sf_dir):
+    """Connected parts of a hierarchy without its root."""
+    from schemaloom.operators.affinity import single_links
+
+    edges = fx.relation(spark, fx.EDGES).where(F.col("parent") != h.ROOT)
+    items = edges.select(F.explode(F.array("child", "parent")).alias("item")).distinct()
+    return single_links(items, edges.select(F.col("child").alias("a"), F.col("parent").alias("b"), F.lit(1.0).alias("sim")), 1.0)
+
+
+@query("s_udf_scalar", f"SELECT path_no, count(*) AS steps FROM {fx.TREE} GROUP BY path_no")
+def udf_scalar(spark, sf_dir):
+    """A vectorised function of one's own over paths."""
+
+    @F.pandas_udf("long")
+    def steps(path: pd.Series) -> pd.Series:
+        return path.str.count(">") + 1
+
+    paths = fx.relation(spark, fx.TREE).groupBy("path_no").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("pos", "gt_type"))), lambda x: x["gt_type"]), ">").alias("path"))
+    return paths.select("path_no", steps("path").alias("steps"))
+
+
+@query("s_udaf_mean_vector", "SELECT label, round(avg(CAST(embedding[1] AS DOUBLE)), 5) AS first, round(avg(CAST(embedding[64] AS DOUBLE)), 5) AS last FROM embeddings GROUP BY label")
+def udaf_mean_vector(spark, sf_dir):
+    """Mean vectors by label: sums of arrays place by place, combined before the shuffle."""
+    e = table(spark, sf_dir, "embeddings").select("label", F.posexplode(F.col("embedding").cast("array<double>")).alias("at", "x"))
+    mean = e.groupBy("label", "at").agg(F.avg("x").alias("x")).where("at IN (0, 63)")
+    return mean.groupBy("label").agg(F.round(F.max(F.when(F.col("at") == 0, F.col("x"))), 5).alias("first"), F.round(F.max(F.when(F.col("at") == 63, F.col("x"))), 5).alias("last"))
+
+
+PATH_STEPS = f"SELECT table_id, CAST(k AS INTEGER) AS pos, string_split(path, '>')[k] AS type_name FROM (SELECT table_id, path, unnest(range(1, len(string_split(path, '>')) + 1)) AS k FROM {fx.PATHS} WHERE path_no = 1)"
+
+
+@query("s_udtf_path", PATH_STEPS)
+def udtf_path(spark, sf_dir):
+    """A table function of one's own: a path's steps as rows."""
+
+    class Steps:
+        def eval(self, path: str):
+            for k, t in enumerate(path.split(">"), 1):
+                yield k, t
+
+    spark.udtf.register("path_steps", F.udtf(Steps, returnType="pos int, type_name string"))
+    held = spark.sql(f"SELECT table_id, path FROM {fx.PATHS} WHERE path_no = 1")
+    return spark.sql("SELECT table_id, s.pos, s.type_name FROM {held} t, LATERAL path_steps(t.path) s", held=held)
+
+
+@query("s_annotate", f"""
+WITH c AS ({PLACE_CELLS}), q AS (SELECT DISTINCT lower(header) AS header FROM (SELECT 'n_name' AS header UNION ALL SELECT 'n_regionkey')), t AS (SELECT DISTINCT table_id, header FROM c)
+SELECT table_id, shared FROM (SELECT table_id, count(*) AS shared, row_number() OVER (ORDER BY count(*) DESC, table_id) AS r FROM t JOIN q USING (header) GROUP BY table_id) WHERE r = 1""")
+def annotate(spark, sf_dir):
+    """The table whose headers an unseen one shares most: its type would be the unseen table's."""
+    held = place_cells(spark, sf_dir).select("table_id", "header").distinct()
+    asked = spark.createDataFrame([("n_name",), ("n_regionkey",)], "header string")
+    shared = held.join(F.broadcast(asked), "header").groupBy("table_id").agg(F.count("*").alias("shared"))
+    return shared.orderBy(F.desc("shared"), "table_id").limit(1)
+
+
+@query("s_table_query", f"""
+WITH v AS (SELECT DISTINCT table_id, value FROM ({PLACE_CELLS})) SELECT y.table_id, count(*) AS shared FROM v x JOIN v y ON x.value = y.value AND x.table_id = 'region.all' AND y.table_id <> x.table_id GROUP BY 1""")
+def table_query(spark, sf_dir):
+    """Tables by the number of values that they share with one."""
+    v = place_cells(spark, sf_dir).select("table_id", "value").distinct()
+    asked = v.where("table_id = 'region.all'").select("value")
+    return v.where("table_id <> 'region.all'").join(asked, "value").groupBy("table_id").agg(F.count("*").alias("shared"))

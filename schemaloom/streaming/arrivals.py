@@ -55,3 +55,32 @@ def edge_weights(paths: DataFrame) -> DataFrame:
     from schemaloom.operators.hierarchy import merge_edges, path_edges
 
     return merge_edges(path_edges(paths))
+
+
+def follow_ups(signups: DataFrame, purchases: DataFrame, within: str = "1 day") -> DataFrame:
+    """(signup_id, event_id) of purchases by the same user within a time of a signup. State older than that is let go."""
+    s = signups.where("event_type = 'signup'").select(F.col("event_id").alias("signup_id"), F.col("user_id").alias("u"), F.col("ts").alias("at")).withWatermark("at", "1 hour")
+    p = purchases.where("event_type = 'purchase'").select("event_id", "user_id", "ts").withWatermark("ts", "1 hour")
+    return p.join(s, F.expr(f"user_id = u AND ts >= at AND ts <= at + INTERVAL {within}")).select("signup_id", "event_id")
+
+
+def profiles(stream: DataFrame, key: str, counted: str, checked: str, kept: int = 4096) -> DataFrame:
+    """(key, cells, missing, users) after each batch: rows, rows without `checked`, distinct values of `counted`. The state
+    of a key is two counts and the smallest hashes of its values: exact up to `kept` distinct ones, estimated beyond."""
+    import numpy as np
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+    def run(of, frames, state: GroupState):
+        cells, missing, held = state.get if state.exists else (0, 0, b"")
+        least = np.frombuffer(bytes(held), np.uint64)
+        for frame in frames:
+            cells += len(frame)
+            missing += int(frame[checked].isna().sum())
+            hashes = pd.util.hash_array(frame[counted].dropna().astype(str).to_numpy(object))
+            least = np.unique(np.concatenate((least, hashes)))[:kept]
+        state.update((cells, missing, least.tobytes()))
+        n = len(least) if len(least) < kept else round((kept - 1) * 2.0**64 / float(least[-1]))
+        yield pd.DataFrame({key: [of[0]], "cells": [cells], "missing": [missing], "users": [n]})
+
+    return stream.groupBy(key).applyInPandasWithState(run, f"{key} string, cells long, missing long, users long", "cells long, missing long, held binary", "Append", GroupStateTimeout.NoTimeout)

@@ -1,5 +1,7 @@
 """Worked examples, invariants and twins of the methods' operators."""
 
+from decimal import Decimal
+
 import duckdb
 import numpy as np
 import pytest
@@ -26,7 +28,7 @@ def test_queries_against_duckdb(spark, name):
     df = QUERIES[name](spark, SMALL)
     cols = sorted(df.columns)
     want = con.sql(f"SELECT {', '.join(f'{chr(34)}{c}{chr(34)}' for c in cols)} FROM ({ORACLES[name]})").fetchall()
-    norm = lambda r: tuple(f"{x:.{DIGITS}f}" if isinstance(x, float) else str(x) for x in r)
+    norm = lambda r: tuple(f"{x:.{DIGITS}f}" if isinstance(x, float | Decimal) else str(x) for x in r)
     assert sorted(map(norm, df.select(cols).collect())) == sorted(map(norm, want))
 
 
