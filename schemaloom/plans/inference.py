@@ -138,7 +138,9 @@ def attr_domain(spark, sf_dir):
     return attributes.domains(runs.attributes_of(spark, sf_dir, "web")["resolved"], runs.columns(spark, sf_dir, "web"), runs.types(spark, sf_dir, "web")[1])
 
 
-@query("p_unify_siblings")
+@query("p_unify_siblings", f"""WITH RECURSIVE {SEMANTIC}, {asks.step1_sql(fr.REPOSITORY_SQL, HEADERS, NOISE, WRONG)},
+held AS (SELECT DISTINCT l.type_name, attr_name AS name, coalesce(e.parent, 'Thing') AS owner FROM resolved l LEFT JOIN (SELECT child, parent FROM edges WHERE parent <> 'Thing') e ON e.child = l.type_name)
+SELECT DISTINCT type_name, CASE WHEN {strike("concat_ws('|', owner, '0', name)", 'unmerged', NOISE)} THEN name ELSE {USUAL_SQL.format(h='name')} END AS attr_name FROM held""")
 def unify(spark, sf_dir):
     """Names of one meaning among sibling types made one before they are counted."""
     found = runs.attributes_of(spark, sf_dir, "web")

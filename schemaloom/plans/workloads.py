@@ -23,6 +23,7 @@ from schemaloom.operators.lexicon import Lexicon
 from schemaloom.plans import affinities, inference, runs
 from schemaloom.plans.registry import query
 from schemaloom.sources import corpora
+from schemaloom.sources import fragments as fr
 from schemaloom.sources.shared import cut
 
 CORPORA = ("web", "wide", "multi")
@@ -406,7 +407,8 @@ def slope_runs(spark, sf_dir):
     return total.groupBy("method").agg(F.round(F.regr_slope(F.log("t"), F.log("tables")), 3).alias("slope"))
 
 
-@query("w_case_subtree")
+@query("w_case_subtree", f"""WITH RECURSIVE {asks.step1_sql(fr.REPOSITORY_SQL, inference.HEADERS, runs.NOISE, runs.WRONG)},
+below(t) AS (SELECT child FROM edges WHERE parent = 'CreativeWork' UNION SELECT e.child FROM below JOIN edges e ON e.parent = t) SELECT child, parent FROM edges WHERE child IN (SELECT t FROM below)""")
 def case_subtree(spark, sf_dir):
     """The inferred hierarchy below creative works."""
     edges = runs.types(spark, sf_dir, "web")[1]
