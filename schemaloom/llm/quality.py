@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from operator import eq
+from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
@@ -23,14 +24,18 @@ CLASSES = np.full(256, 14, np.int64)
 for _code, _bytes in enumerate((b"abcdefghijklmnopqrstuvwxyz", b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"0123456789", b" ", b"\r\n", bytes(range(128, 256)), b".?", b",", b"!", b"|", b"$%&*#", b":;", b"-'\""), 1):
     CLASSES[list(_bytes)] = _code
 TRIGRAMS = 16**3
-TERMS = TRIGRAMS + 3
+SHAPES = TRIGRAMS + 3
+#: Places that lower-cased words are hashed to, and how long their part of a vector is beside that of the shapes.
+WORDS = 1024
+WORD_SHARE = 0.5
+TERMS = SHAPES + WORDS
 #: The three repetition terms count as much as so many trigrams each.
 REPETITION_WEIGHT = 5
 
 
 def term_rates(text: bytes) -> np.ndarray:
     """A whole text's terms per thousand: trigrams of byte classes, words like the one before, words met within the
-    last WINDOW, lines met before."""
+    last WINDOW, lines met before; and its lower-cased words, by hash."""
     out = np.zeros(TERMS)
     if not text:
         return out
@@ -42,6 +47,8 @@ def term_rates(text: bytes) -> np.ndarray:
         out[TRIGRAMS] = 1000 * sum(map(eq, words, words[1:])) / len(words)
         parts = [words[k : k + WINDOW] for k in range(0, len(words), WINDOW)]
         out[TRIGRAMS + 1] = 1000 * (1 - sum(len(set(x)) / len(x) for x in parts) / len(parts))
+        places = np.fromiter(map(crc32, text.lower().split()), np.int64, len(words)) % WORDS
+        out[SHAPES:] = np.bincount(places, minlength=WORDS) * (1000 / len(words))
     lines = text.split(b"\n")
     out[TRIGRAMS + 2] = 1000 * (1 - len(set(lines)) / len(lines))
     return out
@@ -51,6 +58,15 @@ def unit(x: np.ndarray) -> np.ndarray:
     return x / np.maximum(1e-12, np.linalg.norm(x, axis=1, keepdims=True))
 
 
+def balanced(x: np.ndarray, shapes: int) -> np.ndarray:
+    """x made into unit vectors, in place, in which the terms from `shapes` on, the words, have a fixed share."""
+    length = lambda y: np.maximum(1e-12, np.linalg.norm(y, axis=1, keepdims=True)).astype(x.dtype)
+    x[:, :shapes] /= length(x[:, :shapes])
+    x[:, shapes:] /= length(x[:, shapes:]) / x.dtype.type(WORD_SHARE)
+    x /= length(x)
+    return x
+
+
 class Model:
     """Latent axes of a labelled sample, its vectors on them, and its labels."""
 
@@ -59,12 +75,12 @@ class Model:
         self.prior = float(labels.mean()) if len(labels) else 0.5
         seen = (rates > 0).sum(axis=0) if len(rates) else np.zeros(TERMS)
         self.weights = np.where(seen >= 3, np.log((1 + len(rates)) / (1 + seen)) + 0.2, 0.0)
-        self.weights[TRIGRAMS:] *= REPETITION_WEIGHT**0.5
+        self.weights[TRIGRAMS:SHAPES] *= REPETITION_WEIGHT**0.5
         # float32, and the terms that count alone: the sample's matrix is the driver's largest object
         some = np.flatnonzero(self.weights)
         x = np.log1p(rates[:, some].astype(np.float32, copy=False))
         x *= self.weights[some].astype(np.float32)
-        x /= np.maximum(1e-12, np.linalg.norm(x, axis=1, keepdims=True))
+        x = balanced(x, int(np.searchsorted(some, SHAPES)))
         basis = np.random.default_rng(seed).standard_normal((TERMS, axes + 8))[some].astype(np.float32)
         self.axes = np.zeros((TERMS, axes))
         if len(some) and len(x):
@@ -76,7 +92,7 @@ class Model:
         self.vectors = unit(np.asarray(x @ self.axes[some].astype(np.float32), float))
 
     def weighted(self, rates: np.ndarray) -> np.ndarray:
-        return unit(np.log1p(rates) * self.weights)
+        return balanced(np.log1p(rates) * self.weights, SHAPES)
 
     def scores(self, rates: np.ndarray, block: int = 256) -> np.ndarray:
         """Exact cosines with every labelled vector, a block of documents at a time; the nearest ones' labels, weighted
