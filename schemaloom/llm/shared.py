@@ -28,12 +28,23 @@ def shared_root(spark: SparkSession) -> str:
     return root.rstrip("/")
 
 
+#: Folders that this process has made; results that are read late still need theirs.
+_ROOTS: list[Scratch] = []
+
+
+def sweep() -> None:
+    """Deletes every operator's folder of this process. For when all results have been read or written elsewhere."""
+    while _ROOTS:
+        _ROOTS.pop().drop("")
+
+
 class Scratch:
     """Tables and files of one query in a shared folder of its own. Written tables cut lineage: a lost executor costs
     the tasks that read from it, not the stages before."""
 
     def __init__(self, spark: SparkSession, name: str):
         self.spark, self.root = spark, f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
+        _ROOTS.append(self)
 
     def path(self, name: str) -> str:
         return f"{self.root}/{name}"
@@ -52,7 +63,7 @@ class Scratch:
         """Deletes tables that no later plan reads."""
         jvm = self.spark.sparkContext._jvm
         for name in names:
-            at = jvm.org.apache.hadoop.fs.Path(self.path(name))
+            at = jvm.org.apache.hadoop.fs.Path(self.path(name).rstrip("/"))
             at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
 
