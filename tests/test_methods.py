@@ -153,3 +153,15 @@ def test_link_thresholds_on_one_pass(spark):
     truth = spark.createDataFrame([("Customer", "Country")], "src_type string, dst_type string")
     got = {(r.d1, r.d2): r.f1 for r in affinity.tune_links(cols, sims, truth, [0.3, 0.5, 0.95], [0.0, 0.5]).collect()}
     assert got == {(0.3, 0.0): 1.0, (0.3, 0.5): 1.0, (0.5, 0.0): 1.0, (0.5, 0.5): 0.0, (0.95, 0.0): 0.0, (0.95, 0.5): 0.0}
+
+
+def test_folders_are_swept(spark, monkeypatch):
+    from pathlib import Path
+
+    from schemaloom.sources import shared
+
+    monkeypatch.setattr(shared, "_MADE", [])  # other tests' tables stay
+    path = Path(shared.cut(spark.range(3)).inputFiles()[0].removeprefix("file://")).parent
+    assert path.exists()
+    shared.sweep()
+    assert not path.exists()
