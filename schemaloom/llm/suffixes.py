@@ -9,7 +9,6 @@ differ is a maximal repeat with all its occurrences, and all but the first are c
 
 from __future__ import annotations
 
-import hashlib
 from collections.abc import Iterator
 
 import numpy as np
