@@ -34,23 +34,26 @@ def sample_tables(tables: DataFrame, key: str, item: str, k: int = 5, seed: str
 def profile(df: DataFrame, key: str, columns: list[str], exact: bool = True) -> DataFrame:
     """(key, header, cells, rho_null, rho_multi, rho_uniq, digits, dates, chars) of each column and key.
 
-    One scan: all columns are aggregated side by side, and only the small result is turned. rho_multi is over cells
-    that hold something, the others over all; digits and dates are shares of cells that hold something.
+    One scan, turned to a row a cell; equal cells are counted below the first shuffle and meet by a hash, so that neither
+    a long text nor a value that a third of all cells hold travels more than once a task. With exact=False distinct values
+    are estimated and one shuffle of a row a column is all. rho_multi is over cells that hold something, the others over
+    all; digits and dates are shares of cells that hold something.
     """
-    sums = [F.count("*").alias("cells")]
-    distinct = F.count_distinct if exact else F.approx_count_distinct
-    for c in columns:
-        v = F.col(c).cast("string")
-        full = F.coalesce(F.trim(v) != "", F.lit(False))
-        sums += [
-            F.count_if(full).alias(f"{c}.full"), distinct(F.when(full, v)).alias(f"{c}.distinct"), F.count_if(full & v.contains(";")).alias(f"{c}.multi"),
-            F.count_if(full & v.rlike(r"^-?[0-9]+(\.[0-9]+)?$")).alias(f"{c}.digits"), F.count_if(full & v.rlike(r"^[0-9]{4}-[0-9]{2}-[0-9]{2}")).alias(f"{c}.dates"), F.sum(F.when(full, F.length(v))).alias(f"{c}.chars"),
-        ]
-    wide = df.groupBy(key).agg(*sums)
-    parts = [F.struct(F.lit(c).alias("header"), *(F.col(f"`{c}.{x}`").cast("long").alias(x) for x in ("full", "distinct", "multi", "digits", "dates", "chars"))) for c in columns]
-    long = wide.select(key, "cells", F.inline(F.array(*parts)))
+    long = df.select(key, *(F.col(c).cast("string").alias(c) for c in columns)).unpivot(key, columns, "header", "value")
+    v = F.col("value")
+    full = F.coalesce(F.trim(v) != "", F.lit(False))
+    facts = [full.alias("full"), (full & v.contains(";")).alias("multi"), (full & v.rlike(r"^-?[0-9]+(\.[0-9]+)?$")).alias("digits"), (full & v.rlike(r"^[0-9]{4}-[0-9]{2}-[0-9]{2}")).alias("dates"), F.when(full, F.length(v)).alias("chars")]
+    cells = long.select(key, "header", F.when(full, F.md5(v)).alias("digest"), *facts)
+    if exact:
+        held = cells.groupBy(key, "header", "digest").agg(F.count("*").alias("n"), *(F.first(c).alias(c) for c in ("full", "multi", "digits", "dates", "chars")))
+        distinct = F.count("digest")
+    else:
+        held, distinct = cells.withColumn("n", F.lit(1)), F.approx_count_distinct("digest")
+    n = F.col("n")
+    total = lambda c: F.coalesce(F.sum(F.when(F.col(c), n)), F.lit(0)).alias(c)
+    sums = held.groupBy(key, "header").agg(F.sum(n).alias("cells"), *map(total, ("full", "multi", "digits", "dates")), F.sum(n * F.col("chars")).alias("chars"), distinct.alias("distinct"))
     share = lambda a, b: F.when(b > 0, F.round(a / b, 6))
-    return long.select(
+    return sums.select(
         key, "header", "cells", share(F.col("cells") - F.col("full"), F.col("cells")).alias("rho_null"), share(F.col("multi"), F.col("full")).alias("rho_multi"), share(F.col("distinct"), F.col("cells")).alias("rho_uniq"),
         share(F.col("digits"), F.col("full")).alias("digits"), share(F.col("dates"), F.col("full")).alias("dates"), share(F.col("chars"), F.col("full")).alias("chars"),
     )

@@ -4,14 +4,10 @@ from __future__ import annotations
 
 from functools import reduce
 
-import numpy as np
-import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from schemaloom.operators import affinity as a
-from schemaloom.operators import clustering
-from schemaloom.operators.asks import strike_sql  # noqa: F401
 from schemaloom.plans import runs
 from schemaloom.plans.registry import query, table
 from schemaloom.sources import corpora
