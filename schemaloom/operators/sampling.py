@@ -40,23 +40,29 @@ def profile(df: DataFrame, key: str, columns: list[str], exact: bool = True) ->
     all; digits and dates are shares of cells that hold something.
     """
     long = df.select(key, *(F.col(c).cast("string").alias(c) for c in columns)).unpivot(key, columns, "header", "value")
+    held = long.withColumn("digest", F.when(F.trim("value") != "", F.md5("value")))
+    return profile_of(held, [key, "header"], exact)[1].drop("kind")
+
+
+def profile_of(cells: DataFrame, keys: list[str], exact: bool = True) -> tuple[DataFrame, DataFrame]:
+    """(distinct cells with their counts, the profile of each key) of cells (keys, value, digest); a digest is null for a
+    cell that holds nothing. All sums are over fixed-width columns, which Spark aggregates by hash."""
     v = F.col("value")
-    full = F.coalesce(F.trim(v) != "", F.lit(False))
-    facts = [full.alias("full"), (full & v.contains(";")).alias("multi"), (full & v.rlike(r"^-?[0-9]+(\.[0-9]+)?$")).alias("digits"), (full & v.rlike(r"^[0-9]{4}-[0-9]{2}-[0-9]{2}")).alias("dates"), F.when(full, F.length(v)).alias("chars")]
-    cells = long.select(key, "header", F.when(full, F.md5(v)).alias("digest"), *facts)
+    full = F.col("digest").isNotNull()
+    tests = {"full": full, "multi": full & v.contains(";"), "digits": full & v.rlike(r"^-?[0-9]+(\.[0-9]+)?$"), "dates": full & v.rlike(r"^[0-9]{4}-[0-9]{2}-[0-9]{2}")}
+    flat = cells.select(*keys, "digest", *(F.coalesce(x, F.lit(False)).cast("int").alias(c) for c, x in tests.items()), F.when(full, F.length(v)).otherwise(0).alias("chars"))
     if exact:
-        held = cells.groupBy(key, "header", "digest").agg(F.count("*").alias("n"), *(F.first(c).alias(c) for c in ("full", "multi", "digits", "dates", "chars")))
+        held = flat.groupBy(*keys, "digest").agg(F.count("*").alias("n"), *(F.max(c).alias(c) for c in (*tests, "chars")))
         distinct = F.count("digest")
     else:
-        held, distinct = cells.withColumn("n", F.lit(1)), F.approx_count_distinct("digest")
-    n = F.col("n")
-    total = lambda c: F.coalesce(F.sum(F.when(F.col(c), n)), F.lit(0)).alias(c)
-    sums = held.groupBy(key, "header").agg(F.sum(n).alias("cells"), *map(total, ("full", "multi", "digits", "dates")), F.sum(n * F.col("chars")).alias("chars"), distinct.alias("distinct"))
+        held, distinct = flat.withColumn("n", F.lit(1)), F.approx_count_distinct("digest")
+    sums = held.groupBy(*keys).agg(F.sum("n").alias("cells"), *(F.sum(F.col("n") * F.col(c)).alias(c) for c in (*tests, "chars")), distinct.alias("distinct"))
     share = lambda a, b: F.when(b > 0, F.round(a / b, 6))
-    return sums.select(
-        key, "header", "cells", share(F.col("cells") - F.col("full"), F.col("cells")).alias("rho_null"), share(F.col("multi"), F.col("full")).alias("rho_multi"), share(F.col("distinct"), F.col("cells")).alias("rho_uniq"),
+    shares = sums.select(
+        *keys, "cells", share(F.col("cells") - F.col("full"), F.col("cells")).alias("rho_null"), share(F.col("multi"), F.col("full")).alias("rho_multi"), share(F.col("distinct"), F.col("cells")).alias("rho_uniq"),
         share(F.col("digits"), F.col("full")).alias("digits"), share(F.col("dates"), F.col("full")).alias("dates"), share(F.col("chars"), F.col("full")).alias("chars"),
     )
+    return held, shares.withColumn("kind", kind())
 
 
 def kind() -> Column:

@@ -14,11 +14,9 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from schemaloom.plans.registry import TABLES, table
+from schemaloom.registry import TABLES, table
 from schemaloom.sources import fragments as fr
 
-NUMBER, DATE = r"^-?[0-9]+(\.[0-9]+)?$", r"^[0-9]{4}-[0-9]{2}-[0-9]{2}"
-
 
 @dataclass(frozen=True)
 class Source:
@@ -165,34 +163,24 @@ def cells(spark: SparkSession, sf_dir: str, sources: tuple[Source, ...]) -> Data
 def profiles(spark: SparkSession, sf_dir: str, sources: tuple[Source, ...], samples: int = 5) -> DataFrame:
     """(base, k, column, cells, rho_null, rho_multi, rho_uniq, kind, samples) of each column of each fragment.
 
-    Equal cells are counted before the shuffle and meet once by a hash, so that a long text travels as its head; the
-    second sum is over distinct values.
+    Equal cells are counted below the shuffle and meet by a hash, so that no text travels; the second sum is over
+    distinct values. Samples are the values with the smallest hashes, whose heads a join with those few hashes fetches.
     """
-    from schemaloom.operators.sampling import kind
+    from pyspark.sql import Window
+
+    from schemaloom.operators.sampling import profile_of
 
     v = F.col("value")
-    full = F.coalesce(F.trim(v) != "", F.lit(False))
-    facts = F.struct(F.length(v).alias("chars"), v.contains(";").alias("multi"), v.rlike(NUMBER).alias("digits"), v.rlike(DATE).alias("dates"), F.substring(v, 1, 80).alias("head"))
-    keyed = cells(spark, sf_dir, sources).select("base", "k", "column", F.when(full, F.md5(F.concat_ws("|", F.lit("0"), v))).alias("digest"), F.when(full, facts).alias("f"))
-    distinct = keyed.groupBy("base", "k", "column", "digest").agg(F.count("*").alias("n"), F.first("f").alias("f"))
-    n = F.col("n")
-    some = F.col("digest").isNotNull()
-    total = lambda test: F.coalesce(F.sum(F.when(test, n)), F.lit(0))
-    sums = distinct.groupBy("base", "k", "column").agg(
-        F.sum(n).alias("cells"), total(some).alias("full"), F.count("digest").alias("distinct"), total(F.col("f.multi")).alias("multi"), total(F.col("f.digits")).alias("digits"), total(F.col("f.dates")).alias("dates"),
-        F.sum(n * F.col("f.chars")).alias("chars"),
-    )
-    share = lambda a, b: F.when(F.col(b) > 0, F.round(F.col(a) / F.col(b), 6))
-    stats = sums.select("base", "k", "column", "cells", F.when(F.col("cells") > 0, F.round((F.col("cells") - F.col("full")) / F.col("cells"), 6)).alias("rho_null"), share("multi", "full").alias("rho_multi"), share("distinct", "cells").alias("rho_uniq"), share("digits", "full").alias("digits"), share("dates", "full").alias("dates"), share("chars", "full").alias("chars"))
-    stats = stats.select("base", "k", "column", "cells", "rho_null", "rho_multi", "rho_uniq", kind().alias("kind"))
+    held = cells(spark, sf_dir, sources).withColumn("digest", F.when(F.trim(v) != "", F.md5(F.concat_ws("|", F.lit("0"), v))))
+    keys = ["base", "k", "column"]
+    distinct, stats = profile_of(held, keys)
     if not samples:
         return stats
-    from pyspark.sql import Window
-
-    order = Window.partitionBy("base", "k", "column").orderBy("digest")
-    first = distinct.where(some).withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= samples)
-    heads = first.groupBy("base", "k", "column").agg(F.transform(F.sort_array(F.collect_list(F.struct("_r", "f.head"))), lambda x: x["head"]).alias("samples"))
-    return stats.join(heads, ["base", "k", "column"], "left")
+    order = Window.partitionBy(*keys).orderBy("digest")
+    first = distinct.where("digest IS NOT NULL").select(*keys, "digest").withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= samples)
+    heads = held.select(*keys, "digest", F.substring("value", 1, 80).alias("head")).join(first, [*keys, "digest"]).groupBy(*keys, "_r").agg(F.max("head").alias("head"))
+    listed = heads.groupBy(*keys).agg(F.transform(F.sort_array(F.collect_list(F.struct("_r", "head"))), lambda x: x["head"]).alias("samples"))
+    return stats.join(listed, keys, "left")
 
 
 def profiles_sql(sources: tuple[Source, ...]) -> str:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from schemaloom.plans.registry import values
+from schemaloom.registry import values
 
 ANSWERS = values([
     ("a1", "The table lists nations. Thing -> Place -> Country"),

@@ -13,7 +13,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from schemaloom.plans.registry import table
+from schemaloom.registry import table
 
 VARIANTS = ("full", "renamed", "narrow")
 
