@@ -77,4 +77,5 @@ def profile_state(spark, sf_dir):
     """Running profiles by event type, with a state of one's own."""
     stream = st.arriving(spark, table(spark, sf_dir, "events").select("event_type", "user_id", "props"), "profiles")
     found = st.drained(st.profiles(stream, "event_type", "user_id", "props"), "profiles")
-    return found.groupBy("event_type").agg(F.max("cells").alias("cells"), F.max("missing").alias("missing"), F.max("users").alias("users"))
+    last = found.groupBy("event_type", "part").agg(F.max("cells").alias("cells"), F.max("missing").alias("missing"), F.max("users").alias("users"))
+    return last.groupBy("event_type").agg(*(F.sum(c).alias(c) for c in ("cells", "missing", "users")))

@@ -64,23 +64,25 @@ def follow_ups(signups: DataFrame, purchases: DataFrame, within: str = "1 day")
     return p.join(s, F.expr(f"user_id = u AND ts >= at AND ts <= at + INTERVAL {within}")).select("signup_id", "event_id")
 
 
-def profiles(stream: DataFrame, key: str, counted: str, checked: str, kept: int = 4096) -> DataFrame:
-    """(key, cells, missing, users) after each batch: rows, rows without `checked`, distinct values of `counted`. The state
-    of a key is two counts and the smallest hashes of its values: exact up to `kept` distinct ones, estimated beyond."""
+def profiles(stream: DataFrame, key: str, counted: str, checked: str, parts: int = 64) -> DataFrame:
+    """(key, part, cells, missing, users) after each batch: rows, rows without `checked`, distinct values of `counted`, of
+    one part of a key's rows. Equal values are in one part, so a key's counts are the sums of its parts' last ones, and no
+    state holds more than its share of the values: two counts and a hash of 16 bytes for each distinct one."""
     import numpy as np
     import pandas as pd
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
     def run(of, frames, state: GroupState):
         cells, missing, held = state.get if state.exists else (0, 0, b"")
-        least = np.frombuffer(bytes(held), np.uint64)
+        seen = [np.frombuffer(bytes(held), "V16")]
         for frame in frames:
             cells += len(frame)
-            missing += int(frame[checked].isna().sum())
-            hashes = pd.util.hash_array(frame[counted].dropna().astype(str).to_numpy(object))
-            least = np.unique(np.concatenate((least, hashes)))[:kept]
-        state.update((cells, missing, least.tobytes()))
-        n = len(least) if len(least) < kept else round((kept - 1) * 2.0**64 / float(least[-1]))
-        yield pd.DataFrame({key: [of[0]], "cells": [cells], "missing": [missing], "users": [n]})
-
-    return stream.groupBy(key).applyInPandasWithState(run, f"{key} string, cells long, missing long, users long", "cells long, missing long, held binary", "Append", GroupStateTimeout.NoTimeout)
+            missing += int(frame["gap"].sum())
+            seen.append(np.frombuffer(b"".join(frame["digest"].dropna().unique()), "V16"))
+        known = np.array(sorted(set(np.concatenate(seen).tolist())), "V16")
+        state.update((cells, missing, known.tobytes()))
+        yield pd.DataFrame({key: [of[0]], "part": [of[1]], "cells": [cells], "missing": [missing], "users": [len(known)]})
+
+    value = F.col(counted).cast("string")
+    rows = stream.select(key, F.pmod(F.xxhash64(counted), F.lit(parts)).cast("int").alias("part"), F.unhex(F.md5(value)).alias("digest"), F.col(checked).isNull().alias("gap"))
+    return rows.groupBy(key, "part").applyInPandasWithState(run, f"{key} string, part int, cells long, missing long, users long", "cells long, missing long, held binary", "Append", GroupStateTimeout.NoTimeout)
