@@ -12,3 +12,34 @@ def test_profiles_count_past_any_sketch(spark):
     found = st.drained(st.profiles(st.arriving(spark, rows, "many"), "kind", "user", "props"), "many")
     last = found.groupBy("kind", "part").agg(*(F.max(c).alias(c) for c in ("cells", "missing", "users")))
     assert last.agg(F.sum("cells"), F.sum("missing"), F.sum("users")).collect() == [(12_000, 8_000, 9_000)]
+
+
+def test_postings_give_what_pairwise_joins_give(spark):
+    import random
+
+    from schemaloom.operators import affinity as a
+    from schemaloom.operators import postings as po
+
+    rng = random.Random(5)
+    rows = [(f"i{i}", f"t{t}", float(rng.randint(1, 3))) for i in range(12) for t in range(60) if rng.random() < 0.4] + [(f"i{i}", "all", 1.0) for i in range(12)]
+    terms = spark.createDataFrame(rows, "item string, term string, w double")
+    lists = po.postings(terms)
+    rounded = lambda df: {(r.a, r.b): round(r.sim, 6) for r in df.collect()}
+    assert rounded(po.cosine_pairs(lists, po.norms(lists))) == rounded(a.cosine_pairs(terms, digits=None))
+    rare = po.rare(lists, len(po.items_of(lists)))
+    lengths = po.norms(rare)
+    owner = {f"i{i}": (f"g{i % 3}", 0.1 * (i + 1)) for i in range(11)}
+    held = po.grouped(rare, {i: (g, w / lengths[i]) for i, (g, w) in owner.items()})
+    got = {r.item: (r.n, round(r.w, 6)) for r in held.select(F.explode("held").alias("h"), "n").groupBy("h.item").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("h.w")).alias("w")).collect()}
+    owned = spark.createDataFrame([(i, g, w) for i, (g, w) in owner.items()], "item string, table_id string, weight double")
+    want = a.table_vectors(a.unit(a.idf(terms)), owned).groupBy("item").agg(F.count("*").alias("n"), F.sum("w").alias("w"))
+    assert got == {r.item: (r.n, round(r.w, 6)) for r in want.collect()}
+
+
+def test_cells_meet_by_short_texts_and_long_hashes(spark):
+    from schemaloom.operators.sampling import cell_key, digest, key_digest
+
+    df = spark.createDataFrame([("short",), ("x" * 15,), ("x" * 16,), ("\u00e9" * 8,), ("y" * 90,), (" ",), (None,)], "value string")
+    rows = df.withColumn("key", cell_key(F.col("value"))).withColumn("same", key_digest("key") == F.unhex(digest("value"))).collect()
+    assert [r.same for r in rows] == [True] * 5 + [None] * 2
+    assert len({bytes(r.key) for r in rows[:5]}) == 5
