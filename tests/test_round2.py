@@ -52,3 +52,10 @@ def test_counted_cells_are_the_cells(spark, tmp_path):
     want = corpora.cells(spark, str(tmp_path), (src,)).groupBy("base", "k", "column", "value").agg(F.count("*").alias("n"))
     key = lambda df: sorted(map(str, df.select("base", "k", "column", "value", "n").collect()))
     assert key(corpora.counted(spark, str(tmp_path), (src,))) == key(want)
+
+
+def test_queries_read_given_tables(spark):
+    from schemaloom.plans import QUERIES
+
+    for name in ("g_extract_paths", "g_malformed", "g_runs_mean"):
+        assert QUERIES[name](spark, "/root/testdata/sf0.001").inputFiles(), name
