@@ -59,3 +59,24 @@ def test_queries_read_given_tables(spark):
 
     for name in ("g_extract_paths", "g_malformed", "g_runs_mean"):
         assert QUERIES[name](spark, "/root/testdata/sf0.001").inputFiles(), name
+
+
+def test_links_of_the_worked_example(spark):
+    from schemaloom.operators import affinity as a
+
+    cols = spark.createDataFrame([("c1", "Country", "name", True), ("c2", "Country", "name", True), ("c3", "Customer", "nation", False), ("c4", "Customer", "nation", False), ("c5", "Customer", "city", False), ("c6", "Country", "size", False)], "col string, type_name string, attr_id string, is_subject boolean")
+    sims = spark.createDataFrame([("c1", "c3", 0.9), ("c2", "c4", 0.5), ("c2", "c5", 0.8), ("c1", "c6", 0.99)], "a string, b string, sim double")
+    found = lambda d1, d2: sorted(tuple(r) for r in a.subject_links(cols, sims, d1, d2).collect())
+    assert found(0.75, 0.15) == [("Customer", "city", "Country", 1, 1), ("Customer", "nation", "Country", 1, 2)]
+    assert found(0.75, 0.5) == [("Customer", "city", "Country", 1, 1)]
+    assert found(0.45, 0.0) == [("Customer", "city", "Country", 1, 1), ("Customer", "nation", "Country", 2, 2)]
+
+
+def test_links_and_replay_read_given_tables(spark, tmp_path):
+    from schemaloom.plans import QUERIES
+
+    for name in ("a_links_con", "a_links_gen", "a_links_join", "a_links_swap"):
+        assert QUERIES[name](spark, "/root/testdata/sf0.001").count(), name
+    rows = [(1, 0, "user", "a"), (1, 1, "assistant", "x"), (2, 0, "user", "a"), (2, 1, "assistant", "y"), (2, 2, "user", "b"), (3, 0, "user", None), (3, 1, "assistant", "z")]
+    spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
+    assert sorted(tuple(r) for r in QUERIES["g_replay"](spark, str(tmp_path)).collect()) == [("1.0", "x"), ("2.0", "x")]
