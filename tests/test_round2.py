@@ -80,3 +80,22 @@ def test_links_and_replay_read_given_tables(spark, tmp_path):
     rows = [(1, 0, "user", "a"), (1, 1, "assistant", "x"), (2, 0, "user", "a"), (2, 1, "assistant", "y"), (2, 2, "user", "b"), (3, 0, "user", None), (3, 1, "assistant", "z")]
     spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
     assert sorted(tuple(r) for r in QUERIES["g_replay"](spark, str(tmp_path)).collect()) == [("1.0", "x"), ("2.0", "x")]
+
+
+def test_numbers_in_blocks_give_what_cells_give(spark, tmp_path):
+    from schemaloom.operators import affinity as a
+    from schemaloom.operators import postings as po
+    from schemaloom.sources import corpora
+
+    columns = ("event_id", "user_id", "value", "ts", "props")
+    src = corpora.Source("events", "SELECT event_id, user_id, value, ts, props, event_type AS k FROM {events}", tuple((c, c, "") for c in columns), "'x'", frozenset())
+    rows = """(5L, 7, 0.0D, TIMESTAMP_NTZ '2024-01-01 00:00:01.072425', 'p 5 007 07', 'a'), (5L, -7, -0.0D, NULL, ' ', 'a'), (-5L, NULL, double('NaN'), NULL, NULL, 'b'), (9223372036854775807L, 0, 1.0E7D, NULL, 'p', 'b'),
+    (100000000000000000L, 12, 12.05D, NULL, '100000000000000000 99999999999999999 00', NULL), (99999999999999999L, 12, -1234.5D, NULL, '0', NULL), (3L, 3, 0.001D, NULL, '12.05', 'b'), (-9223372036854775808L, 3, 84197.04D, NULL, 'x;y', 'a')"""
+    spark.sql(f"SELECT * FROM VALUES {rows} AS t(event_id, user_id, value, ts, props, event_type)").repartition(3).write.parquet(f"{tmp_path}/events.parquet")
+    profiles, lists = corpora.tallied(spark, str(tmp_path), (src,), (src,))
+    key = lambda df, *names: sorted(map(str, df.select(*names).collect()))
+    names = ("base", "k", "column", "cells", "rho_null", "rho_multi", "rho_uniq", "digits", "dates", "chars", "kind")
+    assert key(profiles, *names) == key(corpora.profiles(spark, str(tmp_path), (src,), 0), *names)
+    cells = corpora.counted(spark, str(tmp_path), (src,)).where("trim(value) <> ''").select(F.concat_ws(".", "base", "k", "column").alias("item"), F.col("column").alias("header"), "value", "n")
+    total = lambda df: key(df.groupBy("held").agg(F.sum("n").alias("n")), "held", "n")
+    assert total(lists.withColumn("held", F.array_sort("held"))) == total(po.postings(a.word_terms(cells)))
