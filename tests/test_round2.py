@@ -92,10 +92,28 @@ def test_numbers_in_blocks_give_what_cells_give(spark, tmp_path):
     rows = """(5L, 7, 0.0D, TIMESTAMP_NTZ '2024-01-01 00:00:01.072425', 'p 5 007 07', 'a'), (5L, -7, -0.0D, NULL, ' ', 'a'), (-5L, NULL, double('NaN'), NULL, NULL, 'b'), (9223372036854775807L, 0, 1.0E7D, NULL, 'p', 'b'),
     (100000000000000000L, 12, 12.05D, NULL, '100000000000000000 99999999999999999 00', NULL), (99999999999999999L, 12, -1234.5D, NULL, '0', NULL), (3L, 3, 0.001D, NULL, '12.05', 'b'), (-9223372036854775808L, 3, 84197.04D, NULL, 'x;y', 'a')"""
     spark.sql(f"SELECT * FROM VALUES {rows} AS t(event_id, user_id, value, ts, props, event_type)").repartition(3).write.parquet(f"{tmp_path}/events.parquet")
-    profiles, lists = corpora.tallied(spark, str(tmp_path), (src,), (src,))
+    profiles, lists, vectors = corpora.tallied(spark, str(tmp_path), (src,), (src,))
     key = lambda df, *names: sorted(map(str, df.select(*names).collect()))
     names = ("base", "k", "column", "cells", "rho_null", "rho_multi", "rho_uniq", "digits", "dates", "chars", "kind")
     assert key(profiles, *names) == key(corpora.profiles(spark, str(tmp_path), (src,), 0), *names)
     cells = corpora.counted(spark, str(tmp_path), (src,)).where("trim(value) <> ''").select(F.concat_ws(".", "base", "k", "column").alias("item"), F.col("column").alias("header"), "value", "n")
     total = lambda df: key(df.groupBy("held").agg(F.sum("n").alias("n")), "held", "n")
     assert total(lists.withColumn("held", F.array_sort("held"))) == total(po.postings(a.word_terms(cells)))
+    hashed = [r.vector for r in vectors.orderBy("k", "column").collect()]
+    terms = a.word_terms(cells.withColumn("header", F.lit("")))
+    exact = {(r.a, r.b): r.sim for r in a.cosine_pairs(a.idf(terms), digits=None).collect()}
+    names = [(r.k, r.column) for r in vectors.orderBy("k", "column").collect()]
+    assert len(names) == a.idf(terms).select("item").distinct().count()
+    assert all(abs(sum(x * x for x in v) - 1) < 1e-5 for v in hashed)
+    at = {".".join(x for x in ("events", *n) if x is not None): v for n, v in zip(names, hashed, strict=True)}
+    # few words seldom share a place of 256
+    assert sum(abs(sum(x * y for x, y in zip(at[i], at[j], strict=True)) - sim) < 1e-4 for (i, j), sim in exact.items()) >= 0.8 * len(exact)
+
+
+def test_samples_have_the_smallest_hashes(spark):
+    from schemaloom.operators import sampling as s
+
+    df = spark.range(4000).select(F.when(F.col("id") % 7 > 0, F.concat(F.lit("k"), F.col("id") % 3)).alias("k"), (F.col("id") % 900).alias("v")).union(spark.sql("SELECT 'few', 1L UNION ALL SELECT 'few', 1L"))
+    found = sorted((str(r.k), r.digest) for r in s.sample_rows(df, "k", ["v"], 5).collect())
+    every = {(str(r.k), r.digest) for r in df.withColumn("digest", s.digest("v")).collect()}
+    assert found == sorted(x for k in {k for k, _ in every} for x in sorted(y for y in every if y[0] == k)[:5])
