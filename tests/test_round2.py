@@ -117,3 +117,11 @@ def test_samples_have_the_smallest_hashes(spark):
     found = sorted((str(r.k), r.digest) for r in s.sample_rows(df, "k", ["v"], 5).collect())
     every = {(str(r.k), r.digest) for r in df.withColumn("digest", s.digest("v")).collect()}
     assert found == sorted(x for k in {k for k, _ in every} for x in sorted(y for y in every if y[0] == k)[:5])
+
+
+def test_value_sims_need_no_distinct_cells(spark):
+    from schemaloom.plans import affinities, runs
+
+    sf_dir = "/root/testdata/sf0.001/."  # a name that no other test has used
+    assert affinities.wide_sims(spark, sf_dir).count()
+    assert not any("counted" in key and sf_dir in key for key in runs._HELD)
