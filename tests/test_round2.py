@@ -125,3 +125,33 @@ def test_value_sims_need_no_distinct_cells(spark):
     sf_dir = "/root/testdata/sf0.001/."  # a name that no other test has used
     assert affinities.wide_sims(spark, sf_dir).count()
     assert not any("counted" in key and sf_dir in key for key in runs._HELD)
+
+
+def test_sampled_profiles_in_blocks_are_the_profiles(spark, tmp_path, monkeypatch):
+    from schemaloom.operators import tallies
+    from schemaloom.sources import corpora
+
+    src = corpora.Source("events", "SELECT event_id, value, n, props, k FROM {events}", tuple((c, c, "") for c in ("event_id", "value", "n", "props")), "'x'", frozenset())
+    odd = [(1, 0.0), (1, -0.0), (None, float("nan")), (-7, 1.0e7), (10**17, 0.125), (5, 2.5), (-5, -2.5), (0, -0.05), (12, 12.0), (120, 9999999.99), (-(2**63), None)]
+    rows = [(a, v, None, f"{a}", "a") for a, v in odd] + [(i * 37 % 4001, i / 100, i % 3, " " if i % 2 else "7", "ab"[i % 2]) for i in range(3000)] + [(None, None, None, None, None)]
+    spark.createDataFrame(rows, "event_id long, value double, n int, props string, k string").repartition(3).write.parquet(f"{tmp_path}/events.parquet")
+    key = lambda df: sorted(str(r) for r in df.select("base", "k", "column", "cells", "rho_null", "rho_multi", "rho_uniq", "digits", "dates", "chars", "kind", "samples").collect())
+    want = key(corpora.profiles(spark, str(tmp_path), (src,)))
+    assert key(corpora.profiled(spark, str(tmp_path), (src,))) == want
+    monkeypatch.setattr(tallies, "BUCKETS", 3)
+    assert key(corpora.profiled(spark, str(tmp_path), (src,))) == want
+
+
+def test_failures_and_columns_write_no_distinct_cells(spark, tmp_path):
+    from schemaloom.operators import affinity as a
+    from schemaloom.plans import QUERIES, affinities, runs
+
+    sf_dir = f"{tmp_path}/sf"
+    (tmp_path / "sf").symlink_to("/root/testdata/sf0.001")
+    found = {r.case: r.n for r in QUERIES["w_failures"](spark, sf_dir).collect()}
+    assert not any(sf_dir in key and key[1] in ("cells", "counted") for key in runs._HELD)
+    like = "a LIKE 'events.%user_id' AND b LIKE 'customer.%'"
+    assert found["joins by values alone"] == affinities.enc_join(spark, sf_dir).where(like).count()
+    own, other = affinities.cells_of(spark, sf_dir, "events", ("user_id",)), affinities.cells_of(spark, sf_dir, "customer")
+    pairs = a.containments(affinities.cells(spark, sf_dir).select("item", "value"), 0.05).where(like)
+    assert sorted(a.containments_of(own, other, 0.05).collect()) == sorted(pairs.collect()) != []
