@@ -155,3 +155,17 @@ def test_failures_and_columns_write_no_distinct_cells(spark, tmp_path):
     own, other = affinities.cells_of(spark, sf_dir, "events", ("user_id",)), affinities.cells_of(spark, sf_dir, "customer")
     pairs = a.containments(affinities.cells(spark, sf_dir).select("item", "value"), 0.05).where(like)
     assert sorted(a.containments_of(own, other, 0.05).collect()) == sorted(pairs.collect()) != []
+
+
+def test_costs_count_each_ask_once(spark, tmp_path):
+    from schemaloom.plans import QUERIES, runs
+
+    (tmp_path / "sf").symlink_to("/root/testdata/sf0.001")
+    sf_dir = f"{tmp_path}/sf"
+    found = {(r.corpus, r.stage): r.calls for r in QUERIES["w_cost"](spark, sf_dir).collect()}
+    for corpus in ("web", "wide", "multi"):
+        assert found[corpus, "column_path"] == runs.columns(spark, sf_dir, corpus).count()
+        assert found[corpus, "type_path"] >= runs.tables(spark, sf_dir, corpus).count()
+        assert found[corpus, "type_path"] < 2 * runs.tables(spark, sf_dir, corpus).count()
+    assert {(r.corpus, r.stage): r.calls for r in QUERIES["w_cost"](spark, sf_dir).collect()} == found
+    assert not any(sf_dir in key and "multi" in key and key[1] in ("tables", "columns") for key in runs._HELD)
