@@ -169,3 +169,19 @@ def test_costs_count_each_ask_once(spark, tmp_path):
         assert found[corpus, "type_path"] < 2 * runs.tables(spark, sf_dir, corpus).count()
     assert {(r.corpus, r.stage): r.calls for r in QUERIES["w_cost"](spark, sf_dir).collect()} == found
     assert not any(sf_dir in key and "multi" in key and key[1] in ("tables", "columns") for key in runs._HELD)
+
+
+def test_steps_made_at_once_keep_ledgers_apart(spark):
+    from schemaloom.operators import asks
+    from schemaloom.plans import runs
+
+    def asked(stage, n):
+        rows = spark.range(n).select(F.concat(F.lit(stage), F.col("id")).alias("ask"), F.lit("Place").alias("child"), F.lit("Thing").alias("parent"))
+        with asks.ledger() as held:
+            for _ in range(2):
+                asks.answers(rows, stage, ["child", "parent"], asks.ReplayCompleter({}))
+        return [(s, df.count()) for s, df in held]
+
+    with asks.ledger() as outer:
+        assert runs.together(spark, lambda: asked("verify", 3), lambda: asked("is_a", 5)) == [[("verify", 3)] * 2, [("is_a", 5)] * 2]
+    assert outer == []
